@@ -24,4 +24,4 @@ def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_substring_dedup, op10_suffix_dedup)}
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_QUERIES: dict[str, str] = {}
