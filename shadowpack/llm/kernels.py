@@ -191,18 +191,25 @@ def winnowed_runs(symbols: np.ndarray, bounds: np.ndarray, length: int, gram: in
     return Runs(row, first - bounds[row], count, grams[pick], digest, length)
 
 
-def suffix_order(symbols: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Suffix array of byte symbols 0..256 (0 marks the end of a piece) and its inverse.
-
-    Starts from the order by seven symbols and refines only groups of equal rank, doubling the depth
-    at each round, until every suffix has a rank of its own."""
+def seven_symbols(symbols: np.ndarray) -> np.ndarray:
+    """The seven symbols from each place on, nine bits each, first symbol highest; 0 past the end."""
     n = symbols.size
     padded = np.zeros(n + 7, dtype=U)
     padded[:n] = symbols
     key = np.zeros(n, dtype=U)
     for j in range(7):
         key = (key << U(9)) | padded[j : j + n]
-    order = np.argsort(key, kind="stable")
+    return key
+
+
+def suffix_order(symbols: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Suffix array of byte symbols 0..256 (0 marks the end of a piece) and its inverse.
+
+    Starts from the order by seven symbols and refines only groups of equal rank, doubling the depth
+    at each round, until every suffix has a rank of its own."""
+    n = symbols.size
+    key = seven_symbols(symbols)
+    order = np.argsort(key)
     rank = np.empty(n + 1, dtype=np.int64)
     rank[n] = -1
     slots = np.arange(n)
@@ -220,7 +227,7 @@ def suffix_order(symbols: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             return order, rank[:n]
         place = order[slots]
         keys = rank[place] * (n + 1) + rank[np.minimum(place + depth, n)] + 1
-        by = np.argsort(keys, kind="stable")
+        by = np.argsort(keys)
         order[slots] = place[by]
         keys = keys[by]
         depth *= 2
@@ -231,9 +238,10 @@ def kasai(symbols: np.ndarray, order: np.ndarray, rank: np.ndarray, lane_start:
     lane_count[i] positions from lane_start[i]; other positions hold 0. Lanes advance together: each
     carries its match length minus one from position to position, as in the linear-time method."""
     n = symbols.size
-    text = np.zeros(n + cap + 1, dtype=np.int16)
-    text[:n] = symbols
-    text[n:] = -1
+    text = np.zeros(n + cap + 7, dtype=U)
+    text[:n] = seven_symbols(symbols)
+    text[n:] = np.arange(1, cap + 8, dtype=U) << U(62)
+    steps = U(1) << (np.arange(1, 7, dtype=U) * U(9))
     out = np.zeros(n, dtype=np.int64)
     by = np.argsort(-lane_count, kind="stable")
     start, count = lane_start[by], lane_count[by]
@@ -248,10 +256,11 @@ def kasai(symbols: np.ndarray, order: np.ndarray, rank: np.ndarray, lane_start:
         h[slot == 0] = 0
         grow = np.flatnonzero((slot > 0) & (h < cap))
         while grow.size:
-            same = text[here[grow] + h[grow]] == text[before[grow] + h[grow]]
-            grow = grow[same]
-            h[grow] += 1
-            grow = grow[h[grow] < cap]
+            # seven symbols at a time; where they differ, the highest bit tells how many agree
+            differ = text[here[grow] + h[grow]] ^ text[before[grow] + h[grow]]
+            h[grow] += np.where(differ == 0, 7, 6 - np.searchsorted(steps, differ, side="right"))
+            grow = grow[(differ == 0) & (h[grow] < cap)]
+        np.minimum(h, cap, out=h)
         have[:alive] = h
         out[here] = h
     return out
