@@ -7,7 +7,8 @@ Plan, in terms of rows that move:
    (gram hash, digest of the run's content) per run: about two rows per (length - gram) symbols.
 2. Gram hashes that occur once are dropped by a counted semi join: no window there can repeat.
 3. Runs of equal content are counted and represented by one of them (pre-aggregation: thousands of
-   copies become one context). Texts of those contexts are cut out of their documents.
+   copies become one context). Where a gram has one context only, its copies answer for it. Texts of
+   the others are cut out of their documents.
 4. Contexts of one gram hash meet in one cell. A resolver (suffix arrays, or factoring against a
    reference) says which of their windows occur again. Grams with many different contexts are split
    over a grid of cells, so that a cell stays bounded and every two contexts still meet.
@@ -76,7 +77,7 @@ def occurrence_kernel(spec: Repeat) -> Callable:
             for a, b in chunks(offsets):
                 runs, *_ = spec.runs(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
                 if runs.row.size:
-                    yield pa.RecordBatch.from_arrays([pa.array(uid[a + runs.row]), pa.array(runs.first), _signed(runs.anchor), _signed(runs.digest)], ["_uid", "first", "anchor", "digest"])
+                    yield pa.RecordBatch.from_arrays([pa.array(uid[a + runs.row]), pa.array(runs.first), _signed(runs.anchor), _signed(runs.digest), pa.array(runs.count)], ["_uid", "first", "anchor", "digest", "n"])
 
     return kernel
 
@@ -162,15 +163,18 @@ def repeated_windows(docs: DataFrame, spec: Repeat, resolve: Callable) -> tuple[
     ship_package(docs.sparkSession)
     texts = docs.select("_uid", "text").where(F.col("_uid").isNotNull())
     dealt = texts.repartition("_uid")
-    found = stage(texts.mapInArrow(occurrence_kernel(spec), "_uid long, first long, anchor long, digest long"), "runs")
-    often = found.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("anchor")
+    found = stage(texts.mapInArrow(occurrence_kernel(spec), "_uid long, first long, anchor long, digest long, n long"), "runs")
+    often = found.groupBy("anchor").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("anchor")
     kept = stage(found.join(often, "anchor", "left_semi"), "repeated-grams")
-    kinds = stage(kept.groupBy("anchor", "digest").agg(F.count(F.lit(1)).alias("copies"), F.min("_uid").alias("_uid")), "contexts")
-    wide = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("kinds")).where(F.col("kinds") > CELL_CONTEXTS).withColumn("cells", F.ceil(F.col("kinds") / CELL_CONTEXTS).cast("long")).drop("kinds")
+    kinds = stage(kept.groupBy("anchor", "digest").agg(F.count(F.lit(1)).alias("copies"), F.min("_uid").alias("_uid"), F.max("n").alias("n")), "contexts")
+    several = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("anchor", F.ceil(F.col("kinds") / CELL_CONTEXTS).cast("long").alias("cells"))
+    # a context that is the only one of its gram has copies, else its gram would not be here, and no other
+    # context to be compared with: all its windows are repeated
+    alone = kinds.join(several, "anchor", "left_anti").select("anchor", "digest", F.lit(0).cast("long").alias("rel"), "n")
     wanted = (
-        kinds.join(wide, "anchor", "left")
+        kinds.join(several, "anchor")
         .groupBy("_uid")
-        .agg(F.collect_list(F.struct("anchor", "digest", "copies", F.coalesce("cells", F.lit(1)).alias("cells"))).alias("wanted"))
+        .agg(F.collect_list(F.struct("anchor", "digest", "copies", "cells")).alias("wanted"))
     )
     contexts = dealt.join(wanted.hint("shuffle_hash"), "_uid").select("text", "wanted").mapInArrow(context_kernel(spec), "anchor long, digest long, copies long, cells long, context binary")
     mine = F.pmod("digest", "cells")
@@ -180,7 +184,7 @@ def repeated_windows(docs: DataFrame, spec: Repeat, resolve: Callable) -> tuple[
     celled = contexts.select("anchor", "digest", F.explode(F.arrays_zip(grid.alias("cell"), side.alias("side"))).alias("at"), "copies", "context")
     celled = celled.select("anchor", "digest", F.col("at.cell").alias("cell"), F.col("at.side").alias("side"), "copies", "context")
     answers = celled.repartition("cell").sortWithinPartitions("cell").mapInArrow(resolver_kernel(resolve), "anchor long, digest long, rel long, n long")
-    spans = kept.join(answers, ["anchor", "digest"]).groupBy("_uid").agg(F.collect_list(F.struct((F.col("first") + F.col("rel")).alias("first"), "n")).alias("spans"))
+    spans = kept.drop("n").join(answers.unionByName(alone), ["anchor", "digest"]).groupBy("_uid").agg(F.collect_list(F.struct((F.col("first") + F.col("rel")).alias("first"), "n")).alias("spans"))
     return dealt, spans
 
 
