@@ -2,16 +2,17 @@
 
 1. Every text becomes a set of shingle hashes; texts of equal sets form a class, whose smallest doc_id
    stands for it. A class is one row from here on, however many copies it has.
-2. Each class gets BANDS * ROWS minima. Minima of a band make its bucket key; the low BITS bits of all
+2. Each class gets MINIMA minima. Minima of a band make its bucket key; the low BITS bits of all
    minima are packed into the signature.
 3. First round: in each bucket every class is paired with the bucket's smallest, never with all.
    Pairs whose collision-corrected similarity, estimated from bit counts, may reach the threshold are
    candidates; confirmed ones, on full sets, are joined to components.
    Only the likeliest pair of each class is confirmed here.
-4. Second round: buckets that still hold several components are taken up again: members of different
-   components are compared by bit counts in blocks (buckets of many members over a grid of blocks), and
-   only pairs that may reach the threshold are confirmed. Pairs of one component need no look: their
-   link would change nothing. So every candidate pair is either connected already or examined."""
+4. Further rounds: buckets that still hold several components are taken up again. Members of different
+   components are compared by set sizes and bit counts in blocks (buckets of many members over a grid
+   of blocks): for some rounds each member's likeliest partner is confirmed, which joins up large groups
+   in few pairs, and at last every pair that may reach the threshold. Pairs within one component need
+   no look: their link would change nothing. So every candidate pair is connected already or examined."""
 
 from __future__ import annotations
 
@@ -29,11 +30,12 @@ from .components import connected_components
 from .kernels import WORD_BASE, chunks, column_bytes, lower_table, mix, prefix_sums, range_hash, ranges, split_words, word_hashes
 from .substring_dedup import with_doc_ids
 
-BANDS, ROWS, BITS = 40, 5, 2
+#: Bands of a bucket key each, minima in a band, minima in a signature (those of the bands first), bits kept.
+BANDS, ROWS, MINIMA, BITS = 52, 6, 320, 4
 #: Standard deviations of the estimate below the threshold at which a pair is still confirmed.
-SLACK = 5.5
-#: Members of a bucket that one block of the second round holds from one side.
-BLOCK_MEMBERS = 4000
+SLACK = 4.5
+#: Members of a bucket that one block holds from one side; rounds that look for one partner each.
+BLOCK_MEMBERS, PARTNER_ROUNDS = 4000, 3
 
 
 @lru_cache(maxsize=2)
@@ -85,13 +87,22 @@ def pack_bits(minima_: np.ndarray, bits: int) -> np.ndarray:
     return np.packbits(np.concatenate(planes, axis=1).astype(np.uint8), axis=1)
 
 
-def agreeing(a: np.ndarray, b: np.ndarray, n: int, bits: int) -> np.ndarray:
-    """How many of n minima agree in all their low bits, from packed signatures (rows x bytes)."""
-    width = n // 8
-    differ = np.zeros((*np.broadcast_shapes(a.shape[:-1], b.shape[:-1]), width), dtype=np.uint8)
-    for k in range(bits):
-        differ |= a[..., k * width : (k + 1) * width] ^ b[..., k * width : (k + 1) * width]
-    return n - np.bitwise_count(differ).sum(axis=-1, dtype=np.int64)
+def agreeing(a: np.ndarray, b: np.ndarray, bits: int) -> np.ndarray:
+    """How many minima agree in all their low bits, from packed signatures as 64-bit words (rows x words)."""
+    width = b.shape[-1] // bits
+    differ = a[..., :width] ^ b[..., :width]
+    for k in range(1, bits):
+        differ = differ | (a[..., k * width : (k + 1) * width] ^ b[..., k * width : (k + 1) * width])
+    return width * 64 - np.bitwise_count(differ).sum(axis=-1, dtype=np.int64)
+
+
+def words_of(column: pa.Array) -> np.ndarray:
+    return column_bytes(column)[0].reshape(len(column), -1).view(np.uint64)
+
+
+def sizes_fit(a: np.ndarray, b: np.ndarray, threshold: float) -> np.ndarray:
+    """Sets of that similarity can't differ more in size."""
+    return np.minimum(a, b) >= threshold * np.maximum(a, b) - 1e-9
 
 
 def estimated(agree: np.ndarray, n: int, bits: int) -> np.ndarray:
@@ -107,7 +118,6 @@ def least_agreement(threshold: float, n: int, bits: int) -> int:
 
 
 def signature_kernel(width: int):
-    n = BANDS * ROWS
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -118,10 +128,10 @@ def signature_kernel(width: int):
                 sums = prefix_sums(hashes, WORD_BASE)
                 key = range_hash(sums, bounds[:-1], bounds[1:], WORD_BASE)
                 size = np.diff(bounds)
-                low = minima(hashes, bounds, n)
+                low = minima(hashes, bounds, MINIMA)
                 bands = np.zeros((b - a, BANDS), dtype=np.uint64)
                 for r in range(ROWS):
-                    bands = mix(bands * np.uint64(31) + low[:, r::ROWS].astype(np.uint64) + np.uint64(r + 1))
+                    bands = mix(bands * np.uint64(31) + low[:, r : BANDS * ROWS : ROWS].astype(np.uint64) + np.uint64(r + 1))
                 bands = mix(bands + np.arange(BANDS, dtype=np.uint64)[None, :])
                 packed = pack_bits(low, BITS)
                 raw = packed.tobytes()
@@ -141,66 +151,68 @@ def signature_kernel(width: int):
 
 
 def bits_filter_kernel(threshold: float):
-    """Keeps the candidate pairs whose signatures may belong to sets of the threshold's similarity."""
-    n = BANDS * ROWS
-    least = least_agreement(threshold, n, BITS)
+    """Keeps the candidate pairs (a, b, signatures, set sizes) that may belong to sets of the threshold's
+    similarity, with their number of agreements."""
+    least = least_agreement(threshold, MINIMA, BITS)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            one, two = (column_bytes(batch.column(k))[0].reshape(batch.num_rows, -1) for k in (2, 3))
-            agree = pa.array(agreeing(one, two, n, BITS))
-            keep = pa.compute.greater_equal(agree, least)
-            yield pa.RecordBatch.from_arrays([x.filter(keep) for x in (batch.column(0), batch.column(1), agree)], ["a", "b", "agree"])
+            agree = agreeing(words_of(batch.column(2)), words_of(batch.column(3)), BITS)
+            keep = pa.array((agree >= least) & sizes_fit(batch.column(4).to_numpy(), batch.column(5).to_numpy(), threshold))
+            yield pa.RecordBatch.from_arrays([x.filter(keep) for x in (batch.column(0), batch.column(1), pa.array(agree))], ["a", "b", "agree"])
 
     return kernel
 
 
-def bucket_kernel(threshold: float):
-    """Cells arrive whole and in order: (cell, side, component, id, signature). Compares members of
-    different components by bit counts and yields the pairs that may reach the threshold."""
-    n = BANDS * ROWS
-    least = least_agreement(threshold, n, BITS)
+def bucket_kernel(threshold: float, every: bool):
+    """Cells arrive whole and in order: (cell, side, component, id, set size, signature). Compares members of
+    different components by bit counts; yields the pairs that may reach the threshold: all of them
+    (`every`), or for each member its likeliest partner alone."""
+    least = least_agreement(threshold, MINIMA, BITS)
 
     def pairs(cell):
-        side = np.concatenate([c[1] for c in cell])
-        part = np.concatenate([c[2] for c in cell])
-        ids = np.concatenate([c[3] for c in cell])
-        sig = np.concatenate([c[4] for c in cell])
-        order = np.argsort(part, kind="stable")
-        side, part, ids, sig = side[order], part[order], ids[order], sig[order]
+        side, part, ids, size, sig = (np.concatenate([c[k] for c in cell]) for k in range(1, 6))
+        order = np.lexsort((ids, part))
+        side, part, ids, size, sig = side[order], part[order], ids[order], size[order], sig[order]
+        if part[0] == part[-1]:
+            return
         two_sided = bool((side != 0).any())
         out_a, out_b = [], []
-        for i in range(ids.size - 1):
-            # members sorted by component: all later ones of another component
-            j = int(np.searchsorted(part, part[i], side="right"))
-            if j >= ids.size:
-                break
-            ok = agreeing(sig[i], sig[j:], n, BITS) >= least
-            if two_sided:
-                ok &= side[j:] != side[i]
-            hit = j + np.flatnonzero(ok)
-            if hit.size:
+        for i in range(ids.size):
+            # members are sorted by component: those before and behind its own
+            first, last = np.searchsorted(part, part[i]), np.searchsorted(part, part[i], side="right")
+            for lo, hi in ((last, ids.size),) if every else ((0, first), (last, ids.size)):
+                near = lo + np.flatnonzero(sizes_fit(size[lo:hi], size[i], threshold))
+                if two_sided:
+                    near = near[side[near] != side[i]]
+                if not near.size:
+                    continue
+                agree = agreeing(sig[i], sig[near], BITS)
+                hit = near[agree >= least]
+                if hit.size and not every:
+                    hit = near[agree.argmax()][None]
                 out_a.append(np.full(hit.size, ids[i]))
                 out_b.append(ids[hit])
         if out_a:
             a, b = np.concatenate(out_a), np.concatenate(out_b)
-            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+            found = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list = []
         for batch in batches:
             if not batch.num_rows:
                 continue
-            cell, side, part, ids = (batch.column(k).to_numpy() for k in range(4))
-            sig = column_bytes(batch.column(4))[0].reshape(batch.num_rows, -1)
+            cell, *rest = (batch.column(k).to_numpy() for k in range(5))
+            rest.append(words_of(batch.column(5)))
             cuts = np.concatenate([[0], np.flatnonzero(np.diff(cell)) + 1, [cell.size]])
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 if held and held[0][0] != cell[a]:
                     yield from pairs(held)
                     held = []
-                held.append((cell[a], side[a:b], part[a:b], ids[a:b], sig[a:b]))
+                held.append((cell[a], *(x[a:b] for x in rest)))
         if held:
             yield from pairs(held)
 
@@ -243,18 +255,35 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
     texts = ids.select("_uid", "text")
     rows = stage(texts.mapInArrow(signature_kernel(width), "_uid long, n_shingles long, set_key long, signature binary, bands array<long>"), "signatures")
     classes = stage(rows.where("n_shingles > 0").groupBy("set_key", "n_shingles").agg(F.min("_uid").alias("id")), "classes")
-    lead = stage(rows.join(classes.select(F.col("id").alias("_uid")), "_uid", "left_semi").select(F.col("_uid").alias("id"), "signature", "bands"), "class-signatures")
+    lead = stage(rows.join(classes.select(F.col("id").alias("_uid")), "_uid", "left_semi").select(F.col("_uid").alias("id"), "n_shingles", "signature", "bands"), "class-signatures")
     buckets = lead.select("id", F.explode("bands").alias("bucket"))
     shared = buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first")).where("n > 1")
     members = stage(buckets.join(shared, "bucket"), "buckets")
-    signatures = lead.select("id", "signature")
+    signatures = lead.select("id", F.col("n_shingles").alias("size"), "signature")
     star = members.where("id <> first").select(F.col("first").alias("a"), F.col("id").alias("b")).distinct()
-    # one pair for each class, its likeliest; pairs left out here are looked at in the second round if
-    # their classes are still apart
+    # one pair for each class, its likeliest; what is left out here comes up again below
     likely = filtered(star, signatures, threshold).groupBy("b").agg(F.max_by("a", "agree").alias("a")).select("a", "b")
-    links = confirmed(likely, texts, width, numerator, denominator, "links")
+    confirm = (texts, width, numerator, denominator)
+    tested, links = confirmed(likely, *confirm, "links")
     parts = stage(connected_components(links), "components")
-    # second round
+    for k in range(PARTNER_ROUNDS + 1):
+        every = k == PARTNER_ROUNDS
+        cells = open_cells(members, parts, signatures)
+        pairs = cells.mapInArrow(bucket_kernel(threshold, every), "a long, b long").distinct().join(tested, ["a", "b"], "left_anti")
+        more, late = confirmed(pairs, *confirm, f"links-{k}")
+        tested = tested.unionByName(more)
+        if late.limit(1).count():
+            links = links.unionByName(late)
+            parts = stage(connected_components(links), "components")
+    of_class = classes.join(parts, classes["id"] == parts["node"], "left").select("set_key", "n_shingles", F.coalesce("component", "id").alias("component_id"))
+    whole = rows.select("_uid", "n_shingles", "set_key").join(of_class, ["set_key", "n_shingles"], "left")
+    out = whole.select("_uid", "n_shingles", F.coalesce("component_id", "_uid").alias("component_id"))
+    return with_doc_ids(out.withColumn("kept", F.col("_uid") == F.col("component_id")), ids).select("doc_id", "n_shingles", "component_id", "kept")
+
+
+def open_cells(members: DataFrame, parts: DataFrame, signatures: DataFrame) -> DataFrame:
+    """Members of the buckets that hold several components, dealt out by bucket; buckets of more than
+    BLOCK_MEMBERS over a grid of cells in which every two members still meet."""
     tagged = members.select("bucket", "id", "n").join(parts, members["id"] == parts["node"], "left").select("bucket", "id", "n", F.coalesce("component", "id").alias("part"))
     mixed = tagged.groupBy("bucket").agg(F.min("part").alias("p"), F.max("part").alias("q")).where("p <> q").select("bucket")
     open_ = tagged.join(mixed, "bucket", "left_semi").join(signatures, "id")
@@ -262,27 +291,20 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
     mine = F.pmod(F.xxhash64("id"), "cells")
     span = F.sequence(F.lit(0).cast("long"), F.col("cells") - 1)
     at = F.transform(span, lambda j: F.struct(F.xxhash64("bucket", F.least(mine, j), F.greatest(mine, j)).alias("cell"), F.signum(mine - j).cast("int").alias("side")))
-    celled = open_.withColumn("cells", cells).select(F.explode(at).alias("at"), "part", "id", "signature").select("at.cell", "at.side", "part", "id", "signature")
-    more = celled.repartition("cell").sortWithinPartitions("cell").mapInArrow(bucket_kernel(threshold), "a long, b long").distinct()
-    late = confirmed(more, texts, width, numerator, denominator, "late-links")
-    if late.limit(1).count():
-        parts = stage(connected_components(links.unionByName(late)), "components")
-    of_class = classes.join(parts, classes["id"] == parts["node"], "left").select("set_key", "n_shingles", F.coalesce("component", "id").alias("component_id"))
-    whole = rows.select("_uid", "n_shingles", "set_key").join(of_class, ["set_key", "n_shingles"], "left")
-    out = whole.select("_uid", "n_shingles", F.coalesce("component_id", "_uid").alias("component_id"))
-    return with_doc_ids(out.withColumn("kept", F.col("_uid") == F.col("component_id")), ids).select("doc_id", "n_shingles", "component_id", "kept")
+    celled = open_.withColumn("cells", cells).select(F.explode(at).alias("at"), "part", "id", "size", "signature").select("at.cell", "at.side", "part", "id", "size", "signature")
+    return celled.repartition("cell").sortWithinPartitions("cell")
 
 
 def filtered(pairs: DataFrame, signatures: DataFrame, threshold: float) -> DataFrame:
-    one = signatures.select(F.col("id").alias("a"), F.col("signature").alias("sig_a"))
-    two = signatures.select(F.col("id").alias("b"), F.col("signature").alias("sig_b"))
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "sig_a", "sig_b").mapInArrow(bits_filter_kernel(threshold), "a long, b long, agree long")
+    one = signatures.select(F.col("id").alias("a"), F.col("signature").alias("sig_a"), F.col("size").alias("size_a"))
+    two = signatures.select(F.col("id").alias("b"), F.col("signature").alias("sig_b"), F.col("size").alias("size_b"))
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "sig_a", "sig_b", "size_a", "size_b").mapInArrow(bits_filter_kernel(threshold), "a long, b long, agree long")
 
 
-def confirmed(pairs: DataFrame, texts: DataFrame, width: int, numerator: int, denominator: int, name: str) -> DataFrame:
-    """Pairs that hold on full sets. Only texts of candidate pairs move."""
+def confirmed(pairs: DataFrame, texts: DataFrame, width: int, numerator: int, denominator: int, name: str) -> tuple[DataFrame, DataFrame]:
+    """The candidate pairs, and those of them that hold on full sets. Only texts of candidate pairs move."""
     pairs = stage(pairs, f"{name}-candidates")
     needed = pairs.select(F.col("a").alias("_uid")).union(pairs.select(F.col("b").alias("_uid"))).distinct()
     own = stage(texts.join(needed, "_uid", "left_semi"), f"{name}-texts")
     both = pairs.join(own.select(F.col("_uid").alias("a"), F.col("text").alias("text_a")), "a").join(own.select(F.col("_uid").alias("b"), F.col("text").alias("text_b")), "b")
-    return stage(both.select("a", "b", "text_a", "text_b").mapInArrow(confirm_kernel(width, numerator, denominator), "a long, b long"), name)
+    return pairs, stage(both.select("a", "b", "text_a", "text_b").mapInArrow(confirm_kernel(width, numerator, denominator), "a long, b long"), name)
