@@ -33,44 +33,98 @@ FILLER_ONE_IN = 8
 CELL_TOKENS = 1 << 16
 PART_ROWS = 200_000
 #: Words whose ids a worker remembers.
-CACHE_WORDS = 1_500_000
+CACHE_WORDS = 1_000_000
 
 
 class WordCache:
-    """Token ids of words, remembered. The tokenizer drops white space and never joins across it, so a
-    text's ids are its words' ids, one after the other. A final full stop or comma after a letter is
-    a token run of its own and is split off, so that fewer words differ."""
+    """Token ids of words, remembered in an open-addressed table of 64-bit word hashes.
+
+    The tokenizer drops white space and never joins across it, so a text's ids are its words' ids, one after
+    the other. A letter and the punctuation behind it are never one token either, so a word's final
+    punctuation is split off and fewer words differ."""
 
     def __init__(self, tokenizer_json: str):
-        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_str(tokenizer_json)
+        vocab = self.tokenizer.get_vocab()
+        self.ends_word = np.zeros(max(vocab.values()) + 1, dtype=bool)
+        self.ends_word[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
         self.clear()
 
     def clear(self) -> None:
-        self.slot: dict[int, int] = {}
+        size = 1 << (2 * CACHE_WORDS - 1).bit_length()
+        self.mask = np.uint64(size - 1)
+        self.keys = np.zeros(size, dtype=np.uint64)  # 0: free
+        self.slots = np.zeros(size, dtype=np.int32)
+        self.words = 0
         self.ids = np.zeros(1 << 16, dtype=np.uint32)
         self.used = 0
-        self.start = np.zeros(1 << 14, dtype=np.int64)
-        self.size = np.zeros(1 << 14, dtype=np.int64)
+        self.start = np.zeros(CACHE_WORDS + 1, dtype=np.int64)
+        self.size = np.zeros(CACHE_WORDS + 1, dtype=np.int64)
+
+    def find(self, hashes: np.ndarray) -> np.ndarray:
+        """Each hash's slot, or -1."""
+        out = np.full(hashes.size, -1, dtype=np.int64)
+        left = np.arange(hashes.size)
+        at = hashes & self.mask
+        while left.size:
+            there = self.keys[at]
+            same = there == hashes[left]
+            out[left[same]] = self.slots[at[same]]
+            go = ~same & (there != 0)
+            left, at = left[go], (at[go] + np.uint64(1)) & self.mask
+        return out
 
-    def _add(self, keys: list[int], words: list[str]) -> None:
+    def insert(self, hashes: np.ndarray, slots: np.ndarray) -> None:
+        """Distinct hashes that aren't there yet."""
+        left = np.arange(hashes.size)
+        at = hashes & self.mask
+        while left.size:
+            free = np.flatnonzero(self.keys[at] == 0)
+            _, first = np.unique(at[free], return_index=True)
+            won = free[first]
+            self.keys[at[won]] = hashes[left[won]]
+            self.slots[at[won]] = slots[left[won]]
+            go = np.ones(left.size, dtype=bool)
+            go[won] = False
+            left, at = left[go], at[go]
+            taken = self.keys[at] != 0
+            at = np.where(taken, (at + np.uint64(1)) & self.mask, at)
+
+    def tokens(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all words, one after the other, and their numbers. Words of letters alone are one token run
+        each, so many of them are tokenised as one text and told apart by end-of-word ids."""
         encode = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
-        for a in range(0, len(words), 4096):
-            found = [e.ids for e in encode(words[a : a + 4096], add_special_tokens=False)]
-            sizes = [len(x) for x in found]
-            flat = np.array([t for x in found for t in x], dtype=np.uint32)
-            while self.used + flat.size > self.ids.size:
-                self.ids = np.append(self.ids, np.zeros_like(self.ids))
-            self.ids[self.used : self.used + flat.size] = flat
-            first = len(self.slot)
-            while first + len(found) > self.start.size:
-                self.start, self.size = np.append(self.start, np.zeros_like(self.start)), np.append(self.size, np.zeros_like(self.size))
-            self.size[first : first + len(found)] = sizes
-            self.start[first : first + len(found)] = self.used + np.concatenate([[0], np.cumsum(sizes)])[:-1]
-            self.slot.update(zip(keys[a : a + 4096], range(first, first + len(found)), strict=True))
-            self.used += flat.size
+        ids: list[np.ndarray] = [np.zeros(0, np.uint32)] * len(words)
+        plain = [i for i, w in enumerate(words) if w.isalpha()]
+        rest = [i for i, w in enumerate(words) if not w.isalpha()]
+        groups = [plain[a : a + 256] for a in range(0, len(plain), 256)]
+        for group, found in zip(groups, encode([" ".join([words[i] for i in g]) for g in groups], add_special_tokens=False), strict=True):
+            flat = np.array(found.ids, dtype=np.uint32)
+            ends = np.flatnonzero(self.ends_word[flat]) + 1
+            if ends.size == len(group) and (not ends.size or ends[-1] == flat.size):
+                for i, part in zip(group, np.split(flat, ends[:-1]), strict=True):
+                    ids[i] = part
+            else:
+                rest += group
+        for a in range(0, len(rest), 4096):
+            for i, found in zip(rest[a : a + 4096], encode([words[i] for i in rest[a : a + 4096]], add_special_tokens=False), strict=True):
+                ids[i] = np.array(found.ids, dtype=np.uint32)
+        return np.concatenate(ids), np.array([x.size for x in ids], dtype=np.int64)
+
+    def add(self, hashes: np.ndarray, words: list[str]) -> None:
+        flat, sizes = self.tokens(words)
+        while self.used + flat.size > self.ids.size:
+            self.ids = np.append(self.ids, np.zeros_like(self.ids))
+        self.ids[self.used : self.used + flat.size] = flat
+        slots = self.words + np.arange(hashes.size)
+        self.size[slots] = sizes
+        self.start[slots] = self.used + np.cumsum(sizes) - sizes
+        self.insert(hashes, slots)
+        self.used += flat.size
+        self.words += hashes.size
 
     def encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all rows, one row after the other, and the rows' bounds."""
@@ -79,36 +133,66 @@ class WordCache:
         starts, ends, bounds = split_words(text, offsets, "space")
         if not starts.size:
             return np.zeros(0, np.uint32), np.zeros(offsets.size, np.int64)
-        last, before = text[ends - 1], text[np.maximum(ends - 2, 0)]
-        letter = (before >= 0x61) & (before <= 0x7A)
-        cut = (ends - starts > 1) & letter & ((last == 0x2E) | (last == 0x2C))
-        n = 1 + cut
-        first = np.concatenate([[0], np.cumsum(n)])
-        s, e = np.repeat(starts, n), np.repeat(ends, n)
-        e[first[:-1][cut]] -= 1
-        s[first[:-1][cut] + 1] = ends[cut] - 1
+        s, e, first = split_punctuation(text, starts, ends)
         bounds = first[bounds]
-        hashes = word_hashes(text, s, e)
-        keys, at, inverse = np.unique(hashes, return_index=True, return_inverse=True)
-        if len(self.slot) + keys.size > CACHE_WORDS:
-            self.clear()
-        listed = keys.tolist()
-        slot = self.slot
-        new = [i for i, k in enumerate(listed) if k not in slot]
-        if new:
+        hashes = np.maximum(word_hashes(text, s, e), np.uint64(1))
+        slots = self.find(hashes)
+        missing = np.flatnonzero(slots < 0)
+        if missing.size:
+            new, at = np.unique(hashes[missing], return_index=True)
+            if self.words + new.size > CACHE_WORDS:
+                self.clear()
+                new, at = np.unique(hashes, return_index=True)
+                missing = np.arange(hashes.size)
+            if new.size > CACHE_WORDS:
+                raise ValueError("more different words in one text than the cache holds")
             raw = text.tobytes()
-            self._add([listed[i] for i in new], [raw[s[at[i]] : e[at[i]]].decode() for i in new])
-        slots = np.fromiter((slot[k] for k in listed), dtype=np.int64, count=len(listed))[inverse]
+            at = missing[at]
+            self.add(new, [raw[a:b].decode() for a, b in zip(s[at].tolist(), e[at].tolist(), strict=True)])
+            slots[missing] = self.find(hashes[missing])
         size = self.size[slots]
         return self.ids[ranges(self.start[slots], size)], np.concatenate([[0], np.cumsum(size)])[bounds]
 
 
+# Punctuation that ends a word, split off where a letter stands before it.
+FINAL = b".,;:!?#$%&*)"
+
+
+def split_punctuation(text: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Starts and ends of the parts, and for each word its first part's number (length words+1)."""
+    final = np.zeros(256, dtype=bool)
+    final[list(FINAL)] = True
+    stem = ends.copy()
+    for _ in range(4):
+        stem -= final[text[stem - 1]] & (stem - starts > 1)
+    before = text[stem - 1]
+    cut = (stem < ends) & (before >= 0x61) & (before <= 0x7A)
+    n = 1 + cut
+    first = np.concatenate([[0], np.cumsum(n)])
+    s, e = np.repeat(starts, n), np.repeat(ends, n)
+    e[first[:-1][cut]] = stem[cut]
+    s[first[:-1][cut] + 1] = stem[cut]
+    return s, e, first
+
+
+_CACHES: dict[int, WordCache] = {}
+
+
+def word_cache(tokenizer_json: str) -> WordCache:
+    """One cache for each worker process, kept from task to task."""
+    key = zlib.crc32(tokenizer_json.encode())
+    if key not in _CACHES:
+        _CACHES.clear()
+        _CACHES[key] = WordCache(tokenizer_json)
+    return _CACHES[key]
+
+
 def token_kernel(shared):
     """Per document: number of ids with the end mark, whether it is filler, checksums of its whole
     sequences and its rest, and the ids themselves if it is filler."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache = WordCache(shared.value)
+        cache = word_cache(shared.value)
         for batch in batches:
             data, offsets = column_bytes(batch.column(1))
             filler = batch.column(2).to_pylist()
