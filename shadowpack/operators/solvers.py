@@ -131,11 +131,14 @@ def scd(
     early_stop_violation: float | None = None,
     trace: bool = True,
     eval_at: str = "segment",
+    damping: bool = True,
 ) -> Solution:
     """Synchronous, cyclic or block coordinate descent over critical prices.
 
     solver: 'linear' (one-knapsack items, one cap), 'general', or 'auto'. reduce: 'exact' by windows, or
-    'bucketed'. With trace, each iteration is measured in a pass of its own. A price vector that comes
+    'bucketed'. With trace, each iteration is measured in a pass of its own. Prices that move at once can
+    overshoot together where knapsacks share items; with damping, a price that swings back by about as
+    much as it came takes half steps, and full ones again once it moves steadily. A price vector that comes
     back is a cycle: the mode then falls back to 'cyclic', whose steps never raise the dual bound; the
     best dual prices seen are returned if nothing converges."""
     prices = _start(problem, prices0)
@@ -148,6 +151,7 @@ def scd(
     seen: set[tuple] = set()
     best: tuple[float, list[float]] | None = None
     converged, t = False, 0
+    share, last = [1.0] * problem.k, [0.0] * problem.k
     try:
         for t in range(max_iter):
             began, old = time.time(), list(prices)
@@ -171,6 +175,8 @@ def scd(
             if has_converged(old, prices, tol):
                 converged = True
                 break
+            if damping and mode != "cyclic":
+                prices = _damped(old, prices, share, last)
             key = tuple(round(p, 12) for p in prices)
             if key in seen and mode == "sync":
                 mode, seen = "cyclic", set()
@@ -185,6 +191,18 @@ def scd(
     return Solution(prices, converged, t + 1, history)
 
 
+def _damped(old: list[float], new: list[float], share: list[float], last: list[float]) -> list[float]:
+    """Prices after damped steps; updates each price's share of the full step and its last full step."""
+    out = []
+    for k, (a, b) in enumerate(zip(old, new, strict=True)):
+        step = b - a
+        swings = step * last[k] < 0 and abs(step) > 0.6 * abs(last[k])
+        share[k] = max(share[k] / 2, 1 / 16) if swings else min(1.0, share[k] * 1.25)
+        last[k] = step
+        out.append(a + share[k] * step)
+    return out
+
+
 def presolve_prices(problem: KnapsackProblem, n: int = 10_000, seed: int = 0, prices0: list[float] | float = 1.0, **options) -> list[float]:
     """Prices of a sample of about n groups under proportional budgets; a start for the full solve, not a
     substitute (on all groups they may violate budgets)."""

@@ -378,7 +378,7 @@ def _scd_query(name: str, q: int, steps: list, start: float, customers: bool = F
             p = p.with_budgets(measures.scaled_budgets(p))
         else:
             p = _offers(spark, sf_dir, q)
-        out = solvers.scd(p, start, solver="linear", reduce="exact", trace=False, tol=-1.0, **options)
+        out = solvers.scd(p, start, solver="linear", reduce="exact", trace=False, tol=-1.0, damping=False, **options)
         return price_table(spark, out.prices)
 
     f.__name__ = name

@@ -27,7 +27,7 @@ def optimality_order_lines(spark: SparkSession, sf_dir: str, ks=(1, 3, 5)) -> Da
     for k in ks:
         for scenario in ("C1", "C2", "hier"):
             p = instances.orders_problem(spark, sf_dir, k, scenario)
-            s = solvers.solve(p, max_iter=12)
+            s = solvers.solve(p, max_iter=20)
             upper, lower = lp_bound(p, 1e-4, 40, [s.prices], s.history)
             rows.append((k, scenario, s.metrics["primal"], upper, lower, s.metrics["primal"] / upper, s.iterations, s.metrics["n_violated_before_repair"]))
     return spark.createDataFrame(rows, "k int, scenario string, primal double, lp_upper double, lp_lower double, ratio double, iterations int, violated_before_repair int")
@@ -41,7 +41,7 @@ def optimality_lattice(spark: SparkSession, sf_dir: str | None = None, n: int =
             ratios = []
             for r in range(runs):
                 p = lattice_problem(spark, n, 10, k, False, scenario, offset=r * 1_000_003)
-                s = solvers.solve(p, max_iter=12)
+                s = solvers.solve(p, max_iter=20)
                 upper, _ = lp_bound(p, 1e-3, 40, [s.prices], s.history)
                 ratios.append(s.metrics["primal"] / upper)
             rows.append((n, k, scenario, sum(ratios) / len(ratios), min(ratios)))
