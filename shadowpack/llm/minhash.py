@@ -11,7 +11,7 @@
 4. Further rounds: buckets that still hold several components are taken up again. Members of different
    components are compared by set sizes and bit counts in blocks (buckets of many members over a grid
    of blocks): for some rounds each member's likeliest partner is confirmed, which joins up large groups
-   in few pairs, and at last every pair that may reach the threshold. Pairs within one component need
+   in few pairs, and at last, by longer signatures, every pair that may reach the threshold. Pairs within one component need
    no look: their link would change nothing. So every candidate pair is connected already or examined."""
 
 from __future__ import annotations
@@ -32,13 +32,15 @@ from .substring_dedup import with_doc_ids
 
 #: Bands of a bucket key each, minima in a band, minima in a signature (those of the bands first), bits kept.
 BANDS, ROWS, MINIMA, BITS = 52, 6, 320, 4
+#: Minima of the longer signatures by which the last round tells apart what is near the threshold.
+WIDE_MINIMA = 1024
 #: Standard deviations of the estimate below the threshold at which a pair is still confirmed.
 SLACK = 4.5
 #: Members of a bucket that one block holds from one side; rounds that look for one partner each.
 BLOCK_MEMBERS, PARTNER_ROUNDS = 4000, 3
 
 
-@lru_cache(maxsize=2)
+@lru_cache(maxsize=4)
 def multipliers(n: int) -> tuple[np.ndarray, np.ndarray]:
     seeds = mix(np.arange(1, 2 * n + 1, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F))
     return (seeds[:n] | np.uint64(1)).astype(np.uint32) | np.uint32(1), seeds[n:].astype(np.uint32)
@@ -150,6 +152,20 @@ def signature_kernel(width: int):
     return kernel
 
 
+def wide_kernel(width: int):
+    """(id, set size, signature of WIDE_MINIMA minima) of the texts that are still to be compared."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = column_bytes(batch.column(1))
+            for a, b in chunks(offsets, 1 << 18):
+                hashes, bounds = shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)
+                packed = pack_bits(minima(hashes, bounds, WIDE_MINIMA), BITS)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(np.diff(bounds)), pa.array([x.tobytes() for x in packed], pa.binary())], ["id", "size", "signature"])
+
+    return kernel
+
+
 def bits_filter_kernel(threshold: float):
     """Keeps the candidate pairs (a, b, signatures, set sizes) that may belong to sets of the threshold's
     similarity, with their number of agreements."""
@@ -170,7 +186,7 @@ def bucket_kernel(threshold: float, every: bool):
     """Cells arrive whole and in order: (cell, side, component, id, set size, signature). Compares members of
     different components by bit counts; yields the pairs that may reach the threshold: all of them
     (`every`), or for each member its likeliest partner alone."""
-    least = least_agreement(threshold, MINIMA, BITS)
+    least = least_agreement(threshold, WIDE_MINIMA if every else MINIMA, BITS)
 
     def pairs(cell):
         side, part, ids, size, sig = (np.concatenate([c[k] for c in cell]) for k in range(1, 6))
@@ -268,7 +284,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
     parts = stage(connected_components(links), "components")
     for k in range(PARTNER_ROUNDS + 1):
         every = k == PARTNER_ROUNDS
-        cells = open_cells(members, parts, signatures)
+        cells = open_cells(members, parts, wide_signatures(members, parts, texts, width) if every else signatures)
         pairs = cells.mapInArrow(bucket_kernel(threshold, every), "a long, b long").distinct().join(tested, ["a", "b"], "left_anti")
         more, late = confirmed(pairs, *confirm, f"links-{k}")
         tested = tested.unionByName(more)
@@ -281,12 +297,22 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
     return with_doc_ids(out.withColumn("kept", F.col("_uid") == F.col("component_id")), ids).select("doc_id", "n_shingles", "component_id", "kept")
 
 
+def open_members(members: DataFrame, parts: DataFrame) -> DataFrame:
+    """Members (bucket, id, n, part) of the buckets that hold several components."""
+    tagged = members.select("bucket", "id", "n").join(parts, members["id"] == parts["node"], "left").select("bucket", "id", "n", F.coalesce("component", "id").alias("part"))
+    mixed = tagged.groupBy("bucket").agg(F.min("part").alias("p"), F.max("part").alias("q")).where("p <> q").select("bucket")
+    return tagged.join(mixed, "bucket", "left_semi")
+
+
+def wide_signatures(members: DataFrame, parts: DataFrame, texts: DataFrame, width: int) -> DataFrame:
+    still = open_members(members, parts).select(F.col("id").alias("_uid")).distinct()
+    return stage(texts.join(still, "_uid", "left_semi").select("_uid", "text").mapInArrow(wide_kernel(width), "id long, size long, signature binary"), "wide-signatures")
+
+
 def open_cells(members: DataFrame, parts: DataFrame, signatures: DataFrame) -> DataFrame:
     """Members of the buckets that hold several components, dealt out by bucket; buckets of more than
     BLOCK_MEMBERS over a grid of cells in which every two members still meet."""
-    tagged = members.select("bucket", "id", "n").join(parts, members["id"] == parts["node"], "left").select("bucket", "id", "n", F.coalesce("component", "id").alias("part"))
-    mixed = tagged.groupBy("bucket").agg(F.min("part").alias("p"), F.max("part").alias("q")).where("p <> q").select("bucket")
-    open_ = tagged.join(mixed, "bucket", "left_semi").join(signatures, "id")
+    open_ = open_members(members, parts).join(signatures, "id")
     cells = F.greatest(F.lit(1), F.ceil(F.col("n") / BLOCK_MEMBERS)).cast("long")
     mine = F.pmod(F.xxhash64("id"), "cells")
     span = F.sequence(F.lit(0).cast("long"), F.col("cells") - 1)
