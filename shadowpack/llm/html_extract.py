@@ -107,7 +107,9 @@ def page_lines(page: str | None) -> list[tuple[str, int]]:
         if closing:
             for k in range(len(stack) - 1, -1, -1):
                 if stack[k][0] == name:
-                    close()
+                    # an inline element's end parts no text, unless what follows is of another kind
+                    if stack[-1][1:] != (stack[k - 1][1:] if k else (False, False)):
+                        close()
                     del stack[k:]
                     break
             continue
