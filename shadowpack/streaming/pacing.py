@@ -14,10 +14,15 @@ def _cents():
     return F.floor(F.col("value") * 100 + 0.5).cast("bigint")
 
 
+def _watermarked(events: DataFrame, watermark: str) -> DataFrame:
+    """Watermarks need instants: local times count in the session's time zone."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
+
+
 def window_spend(events: DataFrame, length: str, slide: str | None = None, watermark: str | None = None) -> DataFrame:
     """Spend (cents) per event type and tumbling or sliding window; late rows go if there is a watermark."""
     if watermark:
-        events = events.withWatermark("ts", watermark)
+        events = _watermarked(events, watermark)
     w = F.window("ts", length, slide) if slide else F.window("ts", length)
     return events.groupBy("event_type", w.alias("w")).agg(F.sum(_cents()).alias("cents")).select("event_type", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "cents")
 
@@ -25,7 +30,7 @@ def window_spend(events: DataFrame, length: str, slide: str | None = None, water
 def session_spend(events: DataFrame, gap: str, watermark: str | None = None) -> DataFrame:
     """Spend and events per user session (events less than `gap` apart)."""
     if watermark:
-        events = events.withWatermark("ts", watermark)
+        events = _watermarked(events, watermark)
     s = F.session_window("ts", gap)
     return events.groupBy("user_id", s.alias("s")).agg(F.count(F.lit(1)).alias("n"), F.sum(_cents()).alias("cents")).select("user_id", F.col("s.start").alias("start"), "n", "cents")
 
@@ -47,7 +52,7 @@ def admit(events: DataFrame, prices: DataFrame) -> DataFrame:
 
 def deduplicated(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
     """Each event_id once within the watermark."""
-    return events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
+    return _watermarked(events, watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
 PACED = "event_type string, taken long, spent long"
