@@ -164,7 +164,8 @@ def repeated_windows(docs: DataFrame, spec: Repeat, resolve: Callable) -> tuple[
     texts = docs.select("_uid", "text").where(F.col("_uid").isNotNull())
     dealt = texts.repartition("_uid")
     found = stage(texts.mapInArrow(occurrence_kernel(spec), "_uid long, first long, anchor long, digest long, n long"), "runs")
-    often = found.groupBy("anchor").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("anchor")
+    # written, so that the join deals out both sides afresh and a very common gram can be split
+    often = stage(found.groupBy("anchor").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("anchor"), "grams")
     kept = stage(found.join(often, "anchor", "left_semi"), "repeated-grams")
     kinds = stage(kept.groupBy("anchor", "digest").agg(F.count(F.lit(1)).alias("copies"), F.min("_uid").alias("_uid"), F.max("n").alias("n")), "contexts")
     several = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("anchor", F.ceil(F.col("kinds") / CELL_CONTEXTS).cast("long").alias("cells"))
