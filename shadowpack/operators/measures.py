@@ -130,3 +130,17 @@ def iteration_saving(without: int, with_presolve: int) -> float:
 def k1_gap_bound(problem: KnapsackProblem) -> float:
     """With one knapsack the gap is at most the largest profit of any item."""
     return float(problem.items.agg(F.max("profit")).first()[0] or 0.0)
+
+
+def emission_cost(problem: KnapsackProblem, prices: list[float], delta: float | None = None) -> dict[str, int]:
+    """What one general iteration emits and what is left of it after bucketing: rows that would be shuffled by
+    an exact reduce, and rows of the histogram."""
+    from .candidates import scd_emissions
+    from .thresholds import bucket_histogram
+
+    out = scd_emissions(problem, prices).persist()
+    table = problem.items.sparkSession.createDataFrame([(k + 1, float(p)) for k, p in enumerate(prices)], "knapsack int, price double")
+    try:
+        return {"emitted_rows": out.count(), "histogram_rows": bucket_histogram(out, table, delta).count()}
+    finally:
+        out.unpersist()

@@ -201,3 +201,26 @@ def test_sinks_and_resume(spark, tmp_path):
     d = subproblem.greedy_take(p, again.prices).withColumn("day", F.lit("2024-01-01"))
     d.write.partitionBy("day").parquet(str(tmp_path / "decisions"))
     assert spark.read.parquet(str(tmp_path / "decisions")).where("day = '2024-01-01'").count() == d.count()
+
+
+def test_files_and_tables(spark, tmp_path):
+    from shadowpack.sources import io
+
+    (tmp_path / "b.csv").write_text("knapsack_id,budget\n2,5.5\n1,3\n")
+    (tmp_path / "b.json").write_text('{"knapsack_id": 1, "budget": 3.0}\n')
+    (tmp_path / "c.json").write_text('{"set_id": 1, "cap": 1, "item_ids": [0, 1]}\n{"set_id": 2, "cap": 2}\n')
+    assert io.read_budgets(spark, str(tmp_path / "b.csv")) == [3.0, 5.5]
+    assert io.read_budgets(spark, str(tmp_path / "b.json"), "json") == [3.0]
+    assert [s.cap for s in io.read_caps(spark, str(tmp_path / "c.json")).topo()] == [1, 2]
+    caps = spark.createDataFrame([(1, [0, 1]), (2, [1, 2]), (3, [0, 1, 2])], "set_id int, item_ids array<int>")
+    assert [tuple(r) for r in io.crossing_sets(spark, caps).collect()] == [(1, 2)]
+    p = random_problem(spark, 1, groups=20)
+    d = subproblem.greedy_take(p, [1.0, 1.0])
+    for day in ("2024-01-01", "2024-01-02", "2024-01-01"):
+        io.write_decisions(d, str(tmp_path / "d"), day)
+    assert spark.read.parquet(str(tmp_path / "d")).count() == 2 * d.count()
+    s = solvers.scd(p, 1.0, reduce="exact", max_iter=3, tol=-1.0)
+    io.append_history(solvers.history_frame(p, s.history), str(tmp_path / "h"))
+    assert io.last_prices(spark, str(tmp_path / "h")) == pytest.approx(s.history[-1]["prices"])
+    cost = measures.emission_cost(p, [1.0, 1.0])
+    assert cost["emitted_rows"] >= cost["histogram_rows"] > 0
