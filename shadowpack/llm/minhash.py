@@ -184,8 +184,9 @@ def bits_filter_kernel(threshold: float):
 
 def bucket_kernel(threshold: float, every: bool):
     """Cells arrive whole and in order: (cell, side, component, id, set size, signature). Compares members of
-    different components by bit counts; yields the pairs that may reach the threshold: all of them
-    (`every`), or for each member its likeliest partner alone."""
+    different components by bit counts and yields pairs (a, b, agree) that may reach the threshold: all
+    of them (`every`), or for each member a, those of the cell's largest component aside, its likeliest
+    partner b alone."""
     least = least_agreement(threshold, WIDE_MINIMA if every else MINIMA, BITS)
 
     def pairs(cell):
@@ -195,26 +196,26 @@ def bucket_kernel(threshold: float, every: bool):
         if part[0] == part[-1]:
             return
         two_sided = bool((side != 0).any())
-        out_a, out_b = [], []
-        for i in range(ids.size):
-            # members are sorted by component: those before and behind its own
-            first, last = np.searchsorted(part, part[i]), np.searchsorted(part, part[i], side="right")
-            for lo, hi in ((last, ids.size),) if every else ((0, first), (last, ids.size)):
-                near = lo + np.flatnonzero(sizes_fit(size[lo:hi], size[i], threshold))
-                if two_sided:
-                    near = near[side[near] != side[i]]
-                if not near.size:
-                    continue
-                agree = agreeing(sig[i], sig[near], BITS)
-                hit = near[agree >= least]
-                if hit.size and not every:
-                    hit = near[agree.argmax()][None]
-                out_a.append(np.full(hit.size, ids[i]))
-                out_b.append(ids[hit])
-        if out_a:
-            a, b = np.concatenate(out_a), np.concatenate(out_b)
-            found = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
+        _, heads, members = np.unique(part, return_index=True, return_counts=True)
+        starts, ends = np.repeat(heads, members), np.repeat(heads + members, members)
+        largest = np.repeat(np.arange(heads.size) == members.argmax(), members)
+        out: list[tuple] = []
+        for i in range(ids.size) if every else np.flatnonzero(~largest).tolist():
+            near = np.arange(ends[i], ids.size) if every else np.concatenate([np.arange(starts[i]), np.arange(ends[i], ids.size)])
+            near = near[sizes_fit(size[near], size[i], threshold)]
+            if two_sided:
+                near = near[side[near] != side[i]]
+            if not near.size:
+                continue
+            agree = agreeing(sig[i], sig[near], BITS)
+            hit = np.flatnonzero(agree >= least)
+            if hit.size and not every:
+                hit = agree.argmax()[None]
+            if hit.size:
+                out.append((np.full(hit.size, ids[i]), ids[near[hit]], agree[hit]))
+        if out:
+            one, two, agree = (np.concatenate(x) for x in zip(*out, strict=True))
+            yield pa.RecordBatch.from_arrays([pa.array(one), pa.array(two), pa.array(agree)], ["a", "b", "agree"])
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list = []
@@ -278,14 +279,17 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
     signatures = lead.select("id", F.col("n_shingles").alias("size"), "signature")
     star = members.where("id <> first").select(F.col("first").alias("a"), F.col("id").alias("b")).distinct()
     # one pair for each class, its likeliest; what is left out here comes up again below
-    likely = filtered(star, signatures, threshold).groupBy("b").agg(F.max_by("a", "agree").alias("a")).select("a", "b")
+    likely = filtered(star, signatures, threshold).groupBy("b").agg(F.max_by("a", F.struct("agree", "a")).alias("a")).select("a", "b")
     confirm = (texts, width, numerator, denominator)
     tested, links = confirmed(likely, *confirm, "links")
     parts = stage(connected_components(links), "components")
     for k in range(PARTNER_ROUNDS + 1):
         every = k == PARTNER_ROUNDS
         cells = open_cells(members, parts, wide_signatures(members, parts, texts, width) if every else signatures)
-        pairs = cells.mapInArrow(bucket_kernel(threshold, every), "a long, b long").distinct().join(tested, ["a", "b"], "left_anti")
+        found = cells.mapInArrow(bucket_kernel(threshold, every), "a long, b long, agree long")
+        if not every:
+            found = found.groupBy("a").agg(F.max_by("b", F.struct("agree", "b")).alias("b"))
+        pairs = found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
         more, late = confirmed(pairs, *confirm, f"links-{k}")
         tested = tested.unionByName(more)
         if late.limit(1).count():
