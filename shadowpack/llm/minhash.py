@@ -33,7 +33,7 @@ from .substring_dedup import with_doc_ids
 #: Bands of a bucket key each, minima in a band, minima in a signature (those of the bands first), bits kept.
 BANDS, ROWS, MINIMA, BITS = 52, 6, 320, 4
 #: Minima of the longer signatures by which the last round tells apart what is near the threshold.
-WIDE_MINIMA = 1024
+WIDE_MINIMA = 2048
 #: Standard deviations of the estimate below the threshold at which a pair is still confirmed.
 SLACK = 4.5
 #: Members of a bucket that one block holds from one side; rounds that look for one partner each.
