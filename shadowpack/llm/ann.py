@@ -4,7 +4,9 @@ Centroids are fitted on a bounded sample; their number grows with the table up t
 the graph between them are broadcast. Every distinct vector is listed under its nearest centroid, and
 under further ones that are almost as near (boundary replicas). A query searches the centroid graph,
 keeps the lists whose distance is within a ratio of the nearest one's, and is compared exactly with
-their vectors. Long lists are dealt out in pieces, so that no task takes a whole popular list, and
+their vectors. The ratio is set from the data: the true neighbours of a bounded number of vectors,
+found by brute force over the whole table, must be in reach, so that recall doesn't fall as tables grow
+or clusters fade. Long lists are dealt out in pieces, so that no task takes a whole popular list, and
 equal vectors are one entry, whatever their number."""
 
 from __future__ import annotations
@@ -21,10 +23,13 @@ from .common import ship_package, stage
 
 #: Vectors to fit centroids on; centroids at most; vectors a list should hold; replicas at most.
 SAMPLE, MOST_CENTROIDS, LIST_VECTORS, REPLICAS = 20_000, 8192, 128, 4
-#: Relative excess of squared distance up to which a vector is replicated, and a list is searched.
-CLOSE, PRUNE = 0.25, 0.7
-#: Lists searched for one query at most; edges per centroid; entries of the graph search.
-LISTS, EDGES, BEAM = 24, 12, 48
+#: Relative excess of squared distance up to which a vector is replicated.
+CLOSE = 0.25
+#: Vectors whose true neighbours decide how far to search; share of those neighbours that must be in reach
+#: by rank, and by distance ratio; lists searched at least.
+CALIBRATION, REACH, LEAST_LISTS = 256, 0.985, 8
+#: Edges per centroid in the graph; entries of its search for placing vectors.
+EDGES, BEAM = 12, 48
 #: Vectors of one list that one task compares at a time.
 PIECE = 4096
 
@@ -107,6 +112,51 @@ def lists_within(ids: np.ndarray, cos: np.ndarray, ratio: float, most: int) -> n
     return (ids >= 0) & (far <= (1 + ratio) * np.maximum(far[:, :1], 1e-9)) & (np.arange(ids.shape[1])[None, :] < most)
 
 
+def brute_kernel(shared, dim: int, k: int):
+    """(key, vector) -> the k most similar rows of the batch for each calibration vector."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, unit = shared.value
+        for batch in batches:
+            for a in range(0, batch.num_rows, 4096):
+                part = batch.slice(a, 4096)
+                x = matrix(part.column(1), dim)
+                own = part.column(0).to_numpy()
+                s = unit @ (x / np.linalg.norm(x, axis=1, keepdims=True)).T
+                s[keys[:, None] == own[None, :]] = -np.inf
+                top = min(k, own.size)
+                near = np.argpartition(-s, top - 1, axis=1)[:, :top]
+                row = np.repeat(np.arange(keys.size), top)
+                ok = np.isfinite(s[row, near.ravel()])
+                yield pa.RecordBatch.from_arrays([pa.array(row[ok]), pa.array(s[row, near.ravel()][ok]), part.column(1).take(pa.array(near.ravel()[ok]))], ["query", "score", "vector"])
+
+    return kernel
+
+
+def reach(entries: DataFrame, centroids: np.ndarray, graph: np.ndarray, dim: int, k: int) -> tuple[float, int]:
+    """(distance ratio, lists at most) that reach REACH of the true neighbours of CALIBRATION vectors each."""
+    spark = entries.sparkSession
+    rows = entries.orderBy(F.xxhash64(F.lit(5), "key")).limit(CALIBRATION).collect()
+    unit = np.array([r["vector"] for r in rows])
+    unit = unit / np.linalg.norm(unit, axis=1, keepdims=True)
+    shared = spark.sparkContext.broadcast((np.array([r["key"] for r in rows]), unit))
+    near = entries.select("key", "vector").mapInArrow(brute_kernel(shared, dim, k), "query long, score double, vector array<double>")
+    nth = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score")))
+    true = near.withColumn("nth", nth).where(F.col("nth") <= k).select("query", "vector").collect()
+    if not true:
+        return 0.2, LEAST_LISTS
+    x = np.array([r["vector"] for r in true])
+    x = (x / np.linalg.norm(x, axis=1, keepdims=True)).astype(np.float32)
+    ids, cos = search_graph(x, centroids, graph, BEAM)
+    held = lists_within(ids, cos, CLOSE, REPLICAS)
+    far = 2 - 2 * (unit.astype(np.float32) @ centroids.T)
+    query = np.array([r["query"] for r in true])
+    distance = np.where(held, far[query[:, None], np.where(ids < 0, 0, ids)], np.inf).min(axis=1)
+    rank = (far[query] < distance[:, None]).sum(axis=1) + 1
+    ratio = distance / np.maximum(far.min(axis=1)[query], 1e-9)
+    return max(0.2, float(np.quantile(ratio, REACH)) - 1), int(min(centroids.shape[0], max(LEAST_LISTS, math.ceil(np.quantile(rank, REACH)) + 2)))
+
+
 def matrix(column: pa.Array, dim: int) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim)
 
@@ -198,11 +248,13 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     sample = np.array([r["vector"] for r in entries.orderBy(F.xxhash64(F.lit(3), "key")).limit(SAMPLE).select("vector").collect()])
     sample = (sample / np.linalg.norm(sample, axis=1, keepdims=True)).astype(np.float32)
     centroids = fit_centroids(sample, min(MOST_CENTROIDS, math.ceil(count / list_vectors)))
-    shared = spark.sparkContext.broadcast((centroids, centroid_graph(centroids, EDGES)))
+    graph = centroid_graph(centroids, EDGES)
+    shared = spark.sparkContext.broadcast((centroids, graph))
+    prune, most = reach(entries, centroids, graph, dim, k)
     array = "array<double>"
     listed = entries.select("key", "vector").mapInArrow(place_kernel(shared, dim, CLOSE, REPLICAS), f"key long, list long, vector {array}")
     asked = rows.where(F.col("vec_id") % every == 0).select("key").distinct().join(entries, "key").select("key", "vector")
-    looked = asked.mapInArrow(place_kernel(shared, dim, PRUNE, LISTS), f"key long, list long, vector {array}")
+    looked = asked.mapInArrow(place_kernel(shared, dim, prune, most), f"key long, list long, vector {array}")
     listed = stage(listed, "lists")
     sizes = listed.groupBy("list").agg(F.ceil(F.count(F.lit(1)) / PIECE).cast("long").alias("pieces"))
     cut = listed.join(sizes, "list").select(F.xxhash64("list", F.pmod(F.xxhash64("key"), "pieces")).alias("piece"), F.lit(False).alias("is_query"), "key", "vector")
