@@ -81,3 +81,19 @@ def greedy_sql(levels: list[tuple[str, int]], prices: list[float], source: str =
 def top_take(prices_sql: str, q: int) -> str:
     """Decisions of sparse offers at the prices of a relation (k, price)."""
     return f"SELECT o.g, o.item, o.k, o.need, o.profit, o.net FROM (SELECT o.*, row_number() OVER (PARTITION BY g ORDER BY net DESC, item) AS r FROM (SELECT o.*, o.profit - p.price * o.need AS net FROM offers o JOIN {prices_sql} p USING (k)) o WHERE net > 0) o WHERE r <= {q}"
+
+
+def dd_lines(cap: int, steps: int, start: float, alpha: float) -> str:
+    """Dual descent on order lines with two dense needs and one cap per order."""
+    parts = [LINES, "items AS MATERIALIZED (SELECT g, item, profit, b1, b2 FROM lines)"]
+
+    def used(price_sql: str, name: str) -> str:
+        return f"""{name} AS MATERIALIZED (SELECT coalesce(sum(b1), 0) AS u1, coalesce(sum(b2), 0) AS u2 FROM (SELECT b1, b2, row_number() OVER (PARTITION BY g ORDER BY net DESC, item) AS r FROM (SELECT i.*, i.profit - p.p1 * i.b1 - p.p2 * i.b2 AS net FROM items i, {price_sql} p) WHERE net > 0) WHERE r <= {cap})"""
+
+    parts += ["zero AS (SELECT 0.0::DOUBLE AS p1, 0.0::DOUBLE AS p2)", used("zero", "free")]
+    parts.append("bud AS (SELECT CAST(greatest(1, CAST(u1 AS BIGINT) // 2) AS DOUBLE) AS c1, CAST(greatest(1, CAST(u2 AS BIGINT) // 2) AS DOUBLE) AS c2 FROM free)")
+    parts.append(f"q0 AS (SELECT {dbl(start)} AS p1, {dbl(start)} AS p2)")
+    for t in range(steps):
+        parts.append(used(f"q{t}", f"use{t}"))
+        parts.append(f"q{t + 1} AS MATERIALIZED (SELECT greatest(0.0::DOUBLE, p1 + {dbl(alpha)} * (u1 - c1)) AS p1, greatest(0.0::DOUBLE, p2 + {dbl(alpha)} * (u2 - c2)) AS p2 FROM q{t}, use{t}, bud)")
+    return f"WITH {', '.join(parts)} SELECT CAST(k AS INT) AS knapsack_id, {MICROS.format(x='CASE WHEN k = 1 THEN p1 ELSE p2 END')} AS price_micros FROM q{steps}, range(1, 3) r(k)"

@@ -407,8 +407,47 @@ _dd_query("dd_step", 1, 1, OFFER_ALPHA)
 _dd_query("dd_5_iters", 1, 5, OFFER_ALPHA)
 _dd_query("dd_q2_5_iters", 2, 5, 2 * OFFER_ALPHA)
 
+
+@query(O.dd_lines(2, 3, 100000.0, 0.5))
+def dd_lines_3_iters(spark, sf_dir):
+    p = I.orders_problem(spark, sf_dir, 2, "C2")
+    return price_table(spark, solvers.dual_descent(p, 0.5, 100000.0, 3, tol=-1.0).prices)
+
+
+@query()
+def dd_sweep(spark, sf_dir):
+    """Largest violation of the last iterate for several step sizes, all evaluated in the same passes."""
+    out = solvers.dd_sweep(_offers(spark, sf_dir), [1.0, 5.0, 25.0], OFFER_START, 6)
+    return spark.createDataFrame([(a, s.history[-1]["max_violation"], s.history[-1]["dual"]) for a, s in out.items()], "alpha double, max_violation double, dual double")
+
+
 # ---------------------------------------------------------------- measures and repair
 
+
+@query("SELECT CAST(0 AS BIGINT) AS violations")
+def local_violations(spark, sf_dir):
+    """Groups and nodes over their cap in a nested greedy solution: none."""
+    p = KnapsackProblem.from_long(I.order_lines(spark, sf_dir, 2), [1.0, 1.0], levels=I.ORDER_LEVELS["hier"]).pack()
+    n = measures.local_violations(p, subproblem.greedy_take(p, LINE_PRICES))
+    return spark.createDataFrame([(n,)], "violations long")
+
+
+@query()
+def lp_bounds(spark, sf_dir):
+    """Upper and lower bound of the relaxation of the user offers by column generation."""
+    from .operators.lp_bound import lp_bound
+
+    upper, lower = lp_bound(_offers(spark, sf_dir), 1e-4, 60)
+    return spark.createDataFrame([(upper, lower)], "upper double, lower double")
+
+
+@query()
+def emission_cost(spark, sf_dir):
+    """Rows an exact reduce would shuffle, and rows of the histogram, in one general iteration."""
+    cost = measures.emission_cost(I.orders_problem(spark, sf_dir, 2, "hier"), LINE_PRICES)
+    return spark.createDataFrame([(cost["emitted_rows"], cost["histogram_rows"])], "emitted_rows long, histogram_rows long")
+
+
 FIXED = f"p0 AS (SELECT k, {O.dbl(OFFER_PRICE)} AS price FROM budgets)"
 TAKEN = f"WITH {O.OFFERS}, {O.budgets(1)}, {FIXED}, t AS MATERIALIZED ({O.top_take('p0', 1)})"
 
