@@ -283,8 +283,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
     confirm = (texts, width, numerator, denominator)
     tested, links = confirmed(likely, *confirm, "links")
     parts = stage(connected_components(links), "components")
-    for k in range(PARTNER_ROUNDS + 1):
-        every = k == PARTNER_ROUNDS
+    k, every = 0, False
+    while not every:
+        every = k >= PARTNER_ROUNDS
         cells = open_cells(members, parts, wide_signatures(members, parts, texts, width) if every else signatures)
         found = cells.mapInArrow(bucket_kernel(threshold, every), "a long, b long, agree long")
         if not every:
@@ -295,6 +296,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
         if late.limit(1).count():
             links = links.unionByName(late)
             parts = stage(connected_components(links), "components")
+            k += 1
+        else:
+            k = PARTNER_ROUNDS  # no partner is left to be found one by one
     of_class = classes.join(parts, classes["id"] == parts["node"], "left").select("set_key", "n_shingles", F.coalesce("component", "id").alias("component_id"))
     whole = rows.select("_uid", "n_shingles", "set_key").join(of_class, ["set_key", "n_shingles"], "left")
     out = whole.select("_uid", "n_shingles", F.coalesce("component_id", "_uid").alias("component_id"))
