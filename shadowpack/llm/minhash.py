@@ -42,8 +42,9 @@ BLOCK_MEMBERS, PARTNER_ROUNDS = 4000, 3
 
 @lru_cache(maxsize=4)
 def multipliers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first n of a fixed series: a longer signature begins with the minima of a shorter one."""
     seeds = mix(np.arange(1, 2 * n + 1, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F))
-    return (seeds[:n] | np.uint64(1)).astype(np.uint32) | np.uint32(1), seeds[n:].astype(np.uint32)
+    return seeds[0::2].astype(np.uint32) | np.uint32(1), seeds[1::2].astype(np.uint32)
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -119,6 +120,14 @@ def least_agreement(threshold: float, n: int, bits: int) -> int:
     return int(np.floor(n * p - SLACK * np.sqrt(n * p * (1 - p))))
 
 
+def band_keys(low: np.ndarray) -> np.ndarray:
+    """rows x BANDS bucket keys; keys of different bands differ."""
+    bands = np.zeros((low.shape[0], BANDS), dtype=np.uint64)
+    for r in range(ROWS):
+        bands = mix(bands * np.uint64(31) + low[:, r : BANDS * ROWS : ROWS].astype(np.uint64) + np.uint64(r + 1))
+    return mix(bands + np.arange(BANDS, dtype=np.uint64)[None, :])
+
+
 def signature_kernel(width: int):
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -131,10 +140,7 @@ def signature_kernel(width: int):
                 key = range_hash(sums, bounds[:-1], bounds[1:], WORD_BASE)
                 size = np.diff(bounds)
                 low = minima(hashes, bounds, MINIMA)
-                bands = np.zeros((b - a, BANDS), dtype=np.uint64)
-                for r in range(ROWS):
-                    bands = mix(bands * np.uint64(31) + low[:, r : BANDS * ROWS : ROWS].astype(np.uint64) + np.uint64(r + 1))
-                bands = mix(bands + np.arange(BANDS, dtype=np.uint64)[None, :])
+                bands = band_keys(low)
                 packed = pack_bits(low, BITS)
                 raw = packed.tobytes()
                 step = packed.shape[1]
@@ -153,14 +159,16 @@ def signature_kernel(width: int):
 
 
 def wide_kernel(width: int):
-    """(id, set size, signature of WIDE_MINIMA minima) of the texts that are still to be compared."""
+    """(id, set size, signature of WIDE_MINIMA minima followed by all bucket keys) of the texts that are still to
+    be compared."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = column_bytes(batch.column(1))
             for a, b in chunks(offsets, 1 << 18):
                 hashes, bounds = shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)
-                packed = pack_bits(minima(hashes, bounds, WIDE_MINIMA), BITS)
+                low = minima(hashes, bounds, WIDE_MINIMA)
+                packed = np.concatenate([pack_bits(low, BITS), band_keys(low).view(np.uint8).reshape(b - a, -1)], axis=1)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(np.diff(bounds)), pa.array([x.tobytes() for x in packed], pa.binary())], ["id", "size", "signature"])
 
     return kernel
@@ -183,16 +191,20 @@ def bits_filter_kernel(threshold: float):
 
 
 def bucket_kernel(threshold: float, every: bool):
-    """Cells arrive whole and in order: (cell, side, component, id, set size, signature). Compares members of
+    """Cells arrive whole and in order: (cell, side, component, id, set size, bucket, signature). Compares members of
     different components by bit counts and yields pairs (a, b, agree) that may reach the threshold: all
-    of them (`every`), or for each member a, those of the cell's largest component aside, its likeliest
-    partner b alone."""
+    of them (`every`), each in the first bucket that its members share and in no other, or for each member
+    a, those of the cell's largest component aside, its likeliest partner b alone."""
     least = least_agreement(threshold, WIDE_MINIMA if every else MINIMA, BITS)
 
     def pairs(cell):
-        side, part, ids, size, sig = (np.concatenate([c[k] for c in cell]) for k in range(1, 6))
+        side, part, ids, size, bucket, sig = (np.concatenate([c[k] for c in cell]) for k in range(1, 7))
         order = np.lexsort((ids, part))
         side, part, ids, size, sig = side[order], part[order], ids[order], size[order], sig[order]
+        if every:
+            words = WIDE_MINIMA * BITS // 64
+            sig, keys = sig[:, :words], sig[:, words:]
+            here = bucket[0].view(np.uint64)
         if part[0] == part[-1]:
             return
         two_sided = bool((side != 0).any())
@@ -209,7 +221,10 @@ def bucket_kernel(threshold: float, every: bool):
                 continue
             agree = agreeing(sig[i], sig[near], BITS)
             hit = np.flatnonzero(agree >= least)
-            if hit.size and not every:
+            if hit.size and every:
+                first = (keys[near[hit]] == keys[i]).argmax(axis=1)
+                hit = hit[keys[i][first] == here]
+            elif hit.size:
                 hit = agree.argmax()[None]
             if hit.size:
                 out.append((np.full(hit.size, ids[i]), ids[near[hit]], agree[hit]))
@@ -222,8 +237,8 @@ def bucket_kernel(threshold: float, every: bool):
         for batch in batches:
             if not batch.num_rows:
                 continue
-            cell, *rest = (batch.column(k).to_numpy() for k in range(5))
-            rest.append(words_of(batch.column(5)))
+            cell, *rest = (batch.column(k).to_numpy() for k in range(6))
+            rest.append(words_of(batch.column(6)))
             cuts = np.concatenate([[0], np.flatnonzero(np.diff(cell)) + 1, [cell.size]])
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 if held and held[0][0] != cell[a]:
@@ -325,7 +340,7 @@ def open_cells(members: DataFrame, parts: DataFrame, signatures: DataFrame) -> D
     mine = F.pmod(F.xxhash64("id"), "cells")
     span = F.sequence(F.lit(0).cast("long"), F.col("cells") - 1)
     at = F.transform(span, lambda j: F.struct(F.xxhash64("bucket", F.least(mine, j), F.greatest(mine, j)).alias("cell"), F.signum(mine - j).cast("int").alias("side")))
-    celled = open_.withColumn("cells", cells).select(F.explode(at).alias("at"), "part", "id", "size", "signature").select("at.cell", "at.side", "part", "id", "size", "signature")
+    celled = open_.withColumn("cells", cells).select(F.explode(at).alias("at"), "part", "id", "size", "bucket", "signature").select("at.cell", "at.side", "part", "id", "size", "bucket", "signature")
     return celled.repartition("cell").sortWithinPartitions("cell")
 
 
