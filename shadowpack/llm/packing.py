@@ -276,7 +276,8 @@ def prefix_sums_of(df: DataFrame, weight: str, parts: int, order: str, within: l
     df = df.withColumn("_part", F.pmod(F.xxhash64(order), F.lit(parts)))
     sums = df.groupBy(*within, "_part").agg(F.sum(weight).alias("_w"))
     window = (Window.partitionBy(*within) if within else Window.partitionBy(F.lit(0))).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
-    ahead = F.broadcast(sums.select(*within, "_part", F.coalesce(F.sum("_w").over(window), F.lit(0)).alias("_ahead")))
+    # a row per part: grows with the corpus, so whether it is broadcast is left to its measured size
+    ahead = sums.select(*within, "_part", F.coalesce(F.sum("_w").over(window), F.lit(0)).alias("_ahead"))
     own = F.coalesce(F.sum(weight).over(Window.partitionBy(*within, "_part").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     return df.withColumn("_own", own).join(ahead, [*within, "_part"]).withColumn("before", (F.col("_own") + F.col("_ahead")).cast("long")).drop("_part", "_own", "_ahead")
 

@@ -71,6 +71,7 @@ def number_slots(placed: DataFrame, count: int) -> DataFrame:
     placed = placed.withColumn("part", F.pmod(F.xxhash64("doc_id", "size", "text_crc32"), F.lit(parts)).cast("int"))
     counts = placed.groupBy("shard", "part").agg(F.count(F.lit(1)).alias("n"))
     ahead = F.coalesce(F.sum("n").over(Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    offsets = F.broadcast(counts.select("shard", "part", ahead.alias("ahead")))
+    # a row per part: grows with the corpus, so whether it is broadcast is left to its measured size
+    offsets = counts.select("shard", "part", ahead.alias("ahead"))
     within = F.row_number().over(Window.partitionBy("shard", "part").orderBy("doc_id", "size", "text_crc32"))
     return placed.withColumn("nth", within).join(offsets, ["shard", "part"]).withColumn("slot", (F.col("ahead") + F.col("nth") - 1).cast("long"))
