@@ -428,9 +428,13 @@ def test_suffix_array_and_common_prefixes():
         assert common[p] == h
 
 
-def test_components(spark):
+@pytest.mark.parametrize("small", [10**6, 0])
+def test_components(spark, monkeypatch, small):
+    from shadowpack.llm import components as module
     from shadowpack.llm.components import connected_components
 
+    monkeypatch.setattr(module, "SMALL_EDGES", small)
+
     rng = np.random.default_rng(2)
     edges = [(int(a), int(b)) for a, b in rng.integers(0, 300, (200, 2))] + [(1000 + i, 1001 + i) for i in range(40)] + [(5000, 5000 + i) for i in range(50)]
     parent = {x: x for e in edges for x in e}
