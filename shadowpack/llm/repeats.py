@@ -77,7 +77,14 @@ def occurrence_kernel(spec: Repeat) -> Callable:
             for a, b in chunks(offsets):
                 runs, *_ = spec.runs(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
                 if runs.row.size:
-                    yield pa.RecordBatch.from_arrays([pa.array(uid[a + runs.row]), pa.array(runs.first), _signed(runs.anchor), _signed(runs.digest), pa.array(runs.count)], ["_uid", "first", "anchor", "digest", "n"])
+                    # a document's runs of equal content are one row, however often they come back
+                    order = np.lexsort((runs.first, runs.anchor, runs.digest, runs.row))
+                    row, digest, anchor = runs.row[order], runs.digest[order], runs.anchor[order]
+                    new = np.ones(order.size, dtype=bool)
+                    new[1:] = (row[1:] != row[:-1]) | (digest[1:] != digest[:-1]) | (anchor[1:] != anchor[:-1])
+                    head = np.flatnonzero(new)
+                    firsts = pa.ListArray.from_arrays(pa.array(np.append(head, order.size).astype(np.int32)), pa.array(runs.first[order]))
+                    yield pa.RecordBatch.from_arrays([pa.array(uid[a + row[head]]), firsts, _signed(anchor[head]), _signed(digest[head]), pa.array(runs.count[order][head])], ["_uid", "firsts", "anchor", "digest", "n"])
 
     return kernel
 
@@ -163,11 +170,11 @@ def repeated_windows(docs: DataFrame, spec: Repeat, resolve: Callable) -> tuple[
     ship_package(docs.sparkSession)
     texts = docs.select("_uid", "text").where(F.col("_uid").isNotNull())
     dealt = texts.repartition("_uid")
-    found = stage(texts.mapInArrow(occurrence_kernel(spec), "_uid long, first long, anchor long, digest long, n long"), "runs")
+    found = stage(texts.mapInArrow(occurrence_kernel(spec), "_uid long, firsts array<long>, anchor long, digest long, n long"), "runs")
     # written, so that the join deals out both sides afresh and a very common gram can be split
-    often = stage(found.groupBy("anchor").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("anchor"), "grams")
+    often = stage(found.groupBy("anchor").agg(F.sum(F.size("firsts")).alias("times")).where("times > 1").select("anchor"), "grams")
     kept = stage(found.join(often, "anchor", "left_semi"), "repeated-grams")
-    kinds = stage(kept.groupBy("anchor", "digest").agg(F.count(F.lit(1)).alias("copies"), F.min("_uid").alias("_uid"), F.max("n").alias("n")), "contexts")
+    kinds = stage(kept.groupBy("anchor", "digest").agg(F.sum(F.size("firsts").cast("long")).alias("copies"), F.min("_uid").alias("_uid"), F.max("n").alias("n")), "contexts")
     several = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("anchor", F.ceil(F.col("kinds") / CELL_CONTEXTS).cast("long").alias("cells"))
     # a context that is the only one of its gram has copies, else its gram would not be here, and no other
     # context to be compared with: all its windows are repeated
@@ -185,7 +192,7 @@ def repeated_windows(docs: DataFrame, spec: Repeat, resolve: Callable) -> tuple[
     celled = contexts.select("anchor", "digest", F.explode(F.arrays_zip(grid.alias("cell"), side.alias("side"))).alias("at"), "copies", "context")
     celled = celled.select("anchor", "digest", F.col("at.cell").alias("cell"), F.col("at.side").alias("side"), "copies", "context")
     answers = celled.repartition("cell").sortWithinPartitions("cell").mapInArrow(resolver_kernel(resolve), "anchor long, digest long, rel long, n long")
-    spans = kept.drop("n").join(answers.unionByName(alone), ["anchor", "digest"]).groupBy("_uid").agg(F.collect_list(F.struct((F.col("first") + F.col("rel")).alias("first"), "n")).alias("spans"))
+    spans = kept.drop("n").join(answers.unionByName(alone), ["anchor", "digest"]).select("_uid", F.transform("firsts", lambda f: F.struct((f + F.col("rel")).alias("first"), F.col("n").alias("n"))).alias("part")).groupBy("_uid").agg(F.flatten(F.collect_list("part")).alias("spans"))
     return dealt, spans
 
 
