@@ -5,12 +5,13 @@ import hashlib
 import math
 import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from shadowpack.llm import minhash, packing, repeats
+from shadowpack.llm import license_scan, minhash, packing, repeats
 from shadowpack.llm.ann import nearest
 from shadowpack.llm.decontaminate import decontaminate
 from shadowpack.llm.html_extract import extract_text, page_lines, shared_lines
@@ -172,6 +173,28 @@ def test_license_query_finds_every_statement(spark, small):
     assert lines <= found
 
 
+def test_license_texts_headers_and_statements_in_lines(spark):
+    texts = {p.stem: p.read_text() for p in (Path(license_scan.__file__).parent / "licenses").glob("*.txt")}
+    owner = "Copyright (c) 2019 Some Body and others\n\n"
+    wrapped = {
+        "Apache-2.0": '# Licensed under the Apache License, Version 2.0\n# (the "License"); you may not use this file except in\n# compliance with the License. You may obtain a copy of\n# the License at http://www.apache.org/licenses/LICENSE-2.0\n',
+        "GPL-2.0": " * This program is free software; you can redistribute it\n * and/or modify it under the terms of the GNU General\n * Public License as published by the Free Software\n * Foundation; either version 2 of the License, or\n * (at your option) any later version.\n",
+        "LGPL-2.1": "// This library is free software; you can redistribute it\n// and/or modify it under the terms of the GNU Lesser General Public\n// License as published by the Free Software Foundation; either\n// version 2.1 of the License, or (at your option) any later version.\n",
+        "GPL-3.0": "# This work is licensed under the GNU\n# General Public License,\n# version 3.\n",
+    }
+    lines = {"MIT": ["MIT License", "# SPDX-License-Identifier: MIT", "The tool and all of its manuals are released under the MIT License, see the file beside this one for more."], "GPL": ["GNU GENERAL PUBLIC LICENSE"], "Apache-2.0": ["Apache License"], "BSD-3-Clause": ["code under the BSD 3-Clause licence, as ever"]}
+    code = "\n" + "def f(x): return x + 1  # some more code here and there\n" * 30
+    rows = [(name, f"{name}/text", owner + text) for name, text in texts.items()] + [(name, f"h{name}/x.c", text + code) for name, text in wrapped.items()]
+    rows += [(name, f"l{k}{name}/x.py", code + text + code) for name, many in lines.items() for k, text in enumerate(many)]
+    rows += [("MIT", "named/LICENSE.md", "MIT License" + code), (None, "named/a/b.py", "x"), (None, "MIT/a/b.py", "x"), (None, "p/q", "mit der license und the general public, version 3"), (None, "p/license_plate.py", "the driver license")]
+    got = by_id(scan_licenses(spark.createDataFrame([(i, p, t) for i, (_, p, t) in enumerate(rows)], "doc_id long, path string, text string")))
+    inherited = {"named/a/b.py": ("MIT", "named"), "MIT/a/b.py": ("MIT", "MIT")}
+    for i, (name, path, _) in enumerate(rows):
+        r = got[i]
+        want = (*inherited[path], "inherited") if path in inherited else (name, None, "own" if name else "none")
+        assert (r["license"], r["from_directory"], r["origin"]) == want, path
+
+
 PAGE = """<!doctype html><html><head><title>t</title><style>p{}</style><script>var a="<p>no</p>";</script></head><body class="page">
 <nav><a href=x>Home</a></nav><div id="cookie-notice">We use cookies</div><div class="sidebar">Side</div><main><article><h1>A &amp; B</h1><p>One   two<br>three<p>Caf&eacute; <b>bold</b> text
 <div class="share-buttons">Share</div><ul><li>x<li>y</ul><section class="comments"><p>First!</p></section></article></main><form><label>Mail</label></form><footer>&copy; me</footer>"""
