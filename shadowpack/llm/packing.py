@@ -136,6 +136,14 @@ class WordCache:
         s, e, first = split_punctuation(text, starts, ends)
         bounds = first[bounds]
         hashes = np.maximum(word_hashes(text, s, e), np.uint64(1))
+        raw = text.tobytes()
+        # a slice of so many words never holds more different ones than the cache
+        parts = [self.encode_words(raw, s[a : a + CACHE_WORDS], e[a : a + CACHE_WORDS], hashes[a : a + CACHE_WORDS]) for a in range(0, hashes.size, CACHE_WORDS)]
+        size = np.concatenate([x[1] for x in parts])
+        return np.concatenate([x[0] for x in parts]), np.concatenate([[0], np.cumsum(size)])[bounds]
+
+    def encode_words(self, raw: bytes, s: np.ndarray, e: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of at most CACHE_WORDS words, one after the other, and their numbers."""
         slots = self.find(hashes)
         missing = np.flatnonzero(slots < 0)
         if missing.size:
@@ -144,14 +152,11 @@ class WordCache:
                 self.clear()
                 new, at = np.unique(hashes, return_index=True)
                 missing = np.arange(hashes.size)
-            if new.size > CACHE_WORDS:
-                raise ValueError("more different words in one text than the cache holds")
-            raw = text.tobytes()
             at = missing[at]
             self.add(new, [raw[a:b].decode() for a, b in zip(s[at].tolist(), e[at].tolist(), strict=True)])
             slots[missing] = self.find(hashes[missing])
         size = self.size[slots]
-        return self.ids[ranges(self.start[slots], size)], np.concatenate([[0], np.cumsum(size)])[bounds]
+        return self.ids[ranges(self.start[slots], size)], size
 
 
 # Punctuation that ends a word, split off where a letter stands before it.

@@ -434,6 +434,19 @@ def test_word_cache_overflow(monkeypatch):
         assert ids.tolist() == want[i][:-1].tolist() and bounds.tolist() == [0, ids.size]
 
 
+def test_text_with_more_words_than_the_cache(monkeypatch):
+    import pyarrow as pa
+
+    from shadowpack.llm.kernels import column_bytes
+
+    monkeypatch.setattr(packing, "CACHE_WORDS", 8)
+    texts = ["a b", " ".join(f"n{i}." for i in range(45)) + " n3 n44.", "it's b"]
+    cache = packing.WordCache(Path(tokenizer_path()).read_text())
+    want = token_ids(dict(enumerate(texts)))
+    ids, bounds = cache.encode(*column_bytes(pa.array(texts)))
+    assert [ids[a:b].tolist() for a, b in zip(bounds[:-1], bounds[1:], strict=True)] == [want[i][:-1].tolist() for i in range(3)]
+
+
 def test_suffix_array_and_common_prefixes():
     from shadowpack.llm.kernels import kasai, suffix_order
 
