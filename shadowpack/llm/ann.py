@@ -3,8 +3,8 @@
 Centroids are fitted on a bounded sample; their number grows with the table up to a bound, so they and
 the graph between them are broadcast. Every distinct vector is listed under its nearest centroid, and
 under further ones that are almost as near (boundary replicas). A query searches the centroid graph,
-keeps the lists whose distance is within a ratio of the nearest one's, and is compared exactly with
-their vectors. The ratio is set from the data: the true neighbours of a bounded number of vectors,
+keeps the nearest lists, and further ones whose distance is within a ratio of the nearest one's, and is
+compared exactly with their vectors. A query that finds too few is compared with all. The ratio is set from the data: the true neighbours of a bounded number of vectors,
 found by brute force over the whole table, must be in reach, so that recall doesn't fall as tables grow
 or clusters fade. Long lists are dealt out in pieces, so that no task takes a whole popular list, and
 equal vectors are one entry, whatever their number."""
@@ -13,6 +13,8 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -30,8 +32,8 @@ CLOSE = 0.25
 CALIBRATION, REACH, LEAST_LISTS = 256, 0.985, 8
 #: Edges per centroid in the graph; entries of its search for placing vectors.
 EDGES, BEAM = 12, 48
-#: Vectors of one list that one task compares at a time.
-PIECE = 4096
+#: Vectors of one list that one task compares at a time; queries compared with all vectors in one pass.
+PIECE, PASS_QUERIES = 4096, 1024
 
 
 def fit_centroids(sample: np.ndarray, count: int, rounds: int = 8) -> np.ndarray:
@@ -106,10 +108,11 @@ def search_graph(queries: np.ndarray, centroids: np.ndarray, graph: np.ndarray,
     return ids, cos
 
 
-def lists_within(ids: np.ndarray, cos: np.ndarray, ratio: float, most: int) -> np.ndarray:
-    """Which found centroids are within (1 + ratio) of the nearest one's squared distance, at most `most`."""
-    far = 2 - 2 * cos
-    return (ids >= 0) & (far <= (1 + ratio) * np.maximum(far[:, :1], 1e-9)) & (np.arange(ids.shape[1])[None, :] < most)
+def lists_within(ids: np.ndarray, cos: np.ndarray, ratio: float, most: int, least: int = 1) -> np.ndarray:
+    """Which found centroids are within (1 + ratio) of the nearest one's squared distance, at most `most`; the
+    nearest `least` in any case."""
+    far, nth = 2 - 2 * cos, np.arange(ids.shape[1])[None, :]
+    return (ids >= 0) & ((nth < least) | (far <= (1 + ratio) * np.maximum(far[:, :1], 1e-9)) & (nth < most))
 
 
 def brute_kernel(shared, dim: int, k: int):
@@ -161,7 +164,7 @@ def matrix(column: pa.Array, dim: int) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim)
 
 
-def place_kernel(shared, dim: int, ratio: float, most: int):
+def place_kernel(shared, dim: int, ratio: float, most: int, least: int = 1):
     """(key, vector) -> (key, list) for every list a vector belongs to, or a query looks into."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -172,7 +175,7 @@ def place_kernel(shared, dim: int, ratio: float, most: int):
                 x = matrix(part.column(1), dim)
                 x = (x / np.linalg.norm(x, axis=1, keepdims=True)).astype(np.float32)
                 ids, cos = search_graph(x, centroids, graph, max(BEAM, most))
-                keep = lists_within(ids, cos, ratio, most)
+                keep = lists_within(ids, cos, ratio, most, least)
                 row, col = np.nonzero(keep)
                 yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row)), pa.array(ids[row, col]), part.column(1).take(pa.array(row))], ["key", "list", "vector"])
 
@@ -217,6 +220,27 @@ def compare_kernel(dim: int, k: int):
     return kernel
 
 
+def exact_kernel(shared, dim: int, most: int):
+    """(key, vector) -> each asked query's `most` nearest keys of the task, in double precision."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        asked, q = shared.value
+        norm = np.linalg.norm(q, axis=1)[:, None]
+        keys, score = np.zeros((asked.size, 0), dtype=np.int64), np.zeros((asked.size, 0))
+        for batch in batches:
+            for a in range(0, batch.num_rows, PIECE):
+                part = batch.slice(a, PIECE)
+                v = matrix(part.column(1), dim)
+                keys = np.concatenate([keys, np.broadcast_to(part.column(0).to_numpy(), (asked.size, v.shape[0]))], axis=1)
+                score = np.concatenate([score, (q @ v.T) / (norm * np.linalg.norm(v, axis=1)[None, :])], axis=1)
+                top = min(most, keys.shape[1])
+                near = np.argpartition(-score, top - 1, axis=1)[:, :top]
+                keys, score = np.take_along_axis(keys, near, axis=1), np.take_along_axis(score, near, axis=1)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(asked, keys.shape[1])), pa.array(keys.ravel()), pa.array(score.ravel())], ["query", "key", "score"])
+
+    return kernel
+
+
 def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int = LIST_VECTORS) -> DataFrame:
     """For each row whose vec_id is divisible by `every`, its k nearest other rows by cosine.
 
@@ -228,6 +252,7 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     with fewer candidates returns all of them. Empty table: empty result.
 
     Equal vectors are one entry of the index with their k + 1 smallest ids, which is all that ties need.
+    A query whose lists hold fewer than k candidates is compared with every vector, PASS_QUERIES in a pass.
     Fit on at most SAMPLE distinct vectors (those of the smallest hashes); every vector is listed."""
     spark = vectors.sparkSession
     ship_package(spark)
@@ -254,7 +279,7 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     array = "array<double>"
     listed = entries.select("key", "vector").mapInArrow(place_kernel(shared, dim, CLOSE, REPLICAS), f"key long, list long, vector {array}")
     asked = rows.where(F.col("vec_id") % every == 0).select("key").distinct().join(entries, "key").select("key", "vector")
-    looked = asked.mapInArrow(place_kernel(shared, dim, prune, most), f"key long, list long, vector {array}")
+    looked = asked.mapInArrow(place_kernel(shared, dim, prune, most, LEAST_LISTS), f"key long, list long, vector {array}")
     listed = stage(listed, "lists")
     sizes = listed.groupBy("list").agg(F.ceil(F.count(F.lit(1)) / PIECE).cast("long").alias("pieces"))
     cut = listed.join(sizes, "list").select(F.xxhash64("list", F.pmod(F.xxhash64("key"), "pieces")).alias("piece"), F.lit(False).alias("is_query"), "key", "vector")
@@ -263,11 +288,26 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     spread = looked.join(sizes, "list").withColumn("p", every_piece).select(F.xxhash64("list", "p").alias("piece"), F.lit(True).alias("is_query"), "key", "vector")
     met = cut.unionByName(spread).repartition("piece").sortWithinPartitions("piece", "is_query")
     found = met.mapInArrow(compare_kernel(dim, k), "query long, key long, score double").groupBy("query", "key").agg(F.max("score").alias("score"))
-    # the best k + 1 entries of each query, then their rows
-    best = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "key"))
-    top = found.withColumn("nth", best).where(F.col("nth") <= 2 * k + 2).drop("nth")
-    candidates = top.join(smallest, "key").select("query", "vec_id", "score")
     queries = rows.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query_id"), F.col("key").alias("query")).distinct()
-    pairs = queries.join(candidates, "query").where("query_id <> vec_id")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return pairs.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+    def ranked(found: DataFrame) -> DataFrame:
+        # the best k + 1 entries of each query, then their rows
+        best = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "key"))
+        top = found.withColumn("nth", best).where(F.col("nth") <= 2 * k + 2).drop("nth")
+        candidates = top.join(smallest, "key").select("query", "vec_id", "score")
+        pairs = queries.join(candidates, "query").where("query_id <> vec_id")
+        rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+        return pairs.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+    first = stage(ranked(found), "nearest")
+    have = first.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+    short = stage(queries.join(have, "query_id", "left").where(F.coalesce("n", F.lit(0)) < k).select("query_id", "query"), "short")
+    left = short.select(F.col("query").alias("key")).distinct().join(entries, "key").select("key", "vector").toLocalIterator()
+    passes: list[DataFrame] = []
+    while block := list(islice(left, PASS_QUERIES)):
+        asked_now = spark.sparkContext.broadcast((np.array([r["key"] for r in block]), np.array([r["vector"] for r in block])))
+        passes.append(stage(entries.select("key", "vector").mapInArrow(exact_kernel(asked_now, dim, 2 * k + 2), "query long, key long, score double"), "exact"))
+    if not passes:
+        return first
+    again = ranked(reduce(DataFrame.unionByName, passes)).join(short.select("query_id"), "query_id", "left_semi")
+    return first.join(short.select("query_id"), "query_id", "left_anti").unionByName(again)

@@ -250,6 +250,25 @@ def test_nearest(spark, small):
     assert [(r["rank"], r["vec_id"]) for r in nearest(few).orderBy("rank").collect()] == [(1, 1), (2, 2)]
 
 
+def test_nearest_of_isolated_vectors_and_small_clusters(spark, monkeypatch):
+    from shadowpack.llm import ann
+
+    rng = np.random.default_rng(4)
+    centers = rng.standard_normal((150, 24))
+    v = np.concatenate([c + 1e-4 * rng.standard_normal((1 + i % 3, 24)) for i, c in enumerate(centers)])
+    unit = v / np.linalg.norm(v, axis=1, keepdims=True)
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>")
+    for least in (ann.LEAST_LISTS, 1):  # with 1, some lists hold too few and all vectors are compared
+        monkeypatch.setattr(ann, "LEAST_LISTS", least)
+        monkeypatch.setattr(ann, "reach", lambda *_: (0.2, least))
+        got = collections.defaultdict(list)
+        for r in nearest(df, every=7, list_vectors=2).orderBy("query_id", "rank").collect():
+            got[r["query_id"]].append(r["vec_id"])
+        assert sorted(got) == list(range(0, len(v), 7)) and all(len(x) == len(set(x)) == 5 for x in got.values())
+    exact = sum(got[q] == [i for i in np.argsort(-(unit @ unit[q])).tolist() if i != q][:5] for q in got)
+    assert exact >= 0.9 * len(got)
+
+
 def test_nearest_recall_on_tables(spark, small):
     rows = spark.read.parquet(f"{small}/embeddings.parquet").collect()
     ids, v = np.array([r["vec_id"] for r in rows]), np.array([r["embedding"] for r in rows], dtype=float)
