@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from shadowpack.llm import license_scan, minhash, packing, repeats
 from shadowpack.llm.ann import nearest
 from shadowpack.llm.decontaminate import decontaminate
-from shadowpack.llm.html_extract import extract_text, page_lines, shared_lines
+from shadowpack.llm.html_extract import INSIDE, extract_text, page_lines, shared_lines
 from shadowpack.llm.license_scan import scan_documents, scan_licenses
 from shadowpack.llm.minhash import near_duplicates
 from shadowpack.llm.packing import cutting_stock, pack
@@ -212,6 +212,11 @@ def test_page_text(spark):
     assert page_lines("<p>a<table><tr><td>b<td>c</table>d") == [("a", 1), ("b", 1), ("c", 1), ("d", 1)]
 
 
+def test_attribute_names_are_whole():
+    page = "<article><p>See <a href=\"/hidden-gems\" title='The hidden cost'>gems</a> and <a href=/p?id=share>more</a> or <a HREF=\"/p?id=share&role=dialog\">that</a></p><p title=\"class=menu\" data-role=\"dialog\" data-id=ad>kept</p><p ID = 'share'>not</p><p hidden>nor</p><p class=x aria-hidden=true>this</p></article>"
+    assert [text for text, kind in page_lines(page) if kind == INSIDE] == ["See gems and more or that", "kept"]
+
+
 def test_pages_on_tables(spark, small):
     pages = {r["page_id"]: r["html"] for r in spark.read.parquet(f"{small}/pages.parquet").collect()}
     import html
