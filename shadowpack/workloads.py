@@ -147,8 +147,11 @@ def repair_effect(spark: SparkSession, sf_dir: str, iterations: int = 3) -> Data
     return spark.createDataFrame(rows, "instance string, only_violating boolean, violated_before int, max_violation_before double, dropped int, primal_before double, primal_after double, violated_after int")
 
 
-def daily_solve(spark: SparkSession, sf_dir: str, days=("2024-01-02", "2024-01-03", "2024-01-04")) -> DataFrame:
-    """One solve per day of events, each started from the day before's prices."""
+def daily_solve(spark: SparkSession, sf_dir: str, days=None) -> DataFrame:
+    """One solve per day of events (all days of the table unless given), each started from the day before's prices."""
+    if days is None:
+        day = F.date_format("ts", "yyyy-MM-dd").alias("day")
+        days = [r["day"] for r in instances.table(spark, sf_dir, "events").where("ts is not null").select(day).distinct().orderBy("day").collect()]
     prices, rows = 1.0, []
     for day in days:
         p = instances.offers_problem(spark, sf_dir, 2, day=day)

@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from shadowpack import workloads
 from shadowpack.operators import candidates, groundtruth, measures, solvers, subproblem
 from shadowpack.operators.lp_bound import lp_bound, simplex
 from shadowpack.plans.facades import exactly_one_offset, kp01, mckp, mdkp, mmkp
@@ -224,3 +225,10 @@ def test_files_and_tables(spark, tmp_path):
     assert io.last_prices(spark, str(tmp_path / "h")) == pytest.approx(s.history[-1]["prices"])
     cost = measures.emission_cost(p, [1.0, 1.0])
     assert cost["emitted_rows"] >= cost["histogram_rows"] > 0
+
+
+def test_daily_solve_takes_the_days_of_the_table(spark, tmp_path):
+    rows = [(i, f"2023-05-{d:02d} 10:00:00", i % 7, t, 5.0 + i % 4) for i, (d, t) in enumerate([(d, t) for d in (30, 9, 11) for t in instances.EVENT_TYPES] * 4)]
+    spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string, value double").withColumn("ts", F.col("ts").cast("timestamp")).write.parquet(f"{tmp_path}/events.parquet")
+    got = workloads.daily_solve(spark, str(tmp_path)).collect()
+    assert [r["day"] for r in got] == ["2023-05-09", "2023-05-11", "2023-05-30"] and all(r["primal"] > 0 for r in got)
