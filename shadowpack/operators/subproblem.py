@@ -165,7 +165,7 @@ def exact_take(problem: KnapsackProblem, prices: list[float], value=None) -> Dat
                 out = []
                 for g in range(block.group.size):
                     n = int(block.valid[g].sum())
-                    ids, units = block.ids[g, :n], tuple(np.minimum(block.units[g, :n], 64).tolist())
+                    ids = block.ids[g, :n]
                     named = [([j for j in range(n) if s.items is None or int(ids[j]) in s.items], s.cap) for s in sets]
                     code = 0
                     for column, cap in levels:
@@ -175,6 +175,8 @@ def exact_take(problem: KnapsackProblem, prices: list[float], value=None) -> Dat
                             nodes = block.nodes[code][g, :n]
                             named += [(np.flatnonzero(nodes == x).tolist(), cap) for x in np.unique(nodes)]
                             code += 1
+                    # no item takes more than the smallest cap over it
+                    units = tuple(min([int(block.units[g, j]), *[c for m, c in named if j in m]]) for j in range(n))
                     key = (units, tuple((tuple(m), c) for m, c in named))
                     if key not in tables:
                         if len(tables) > 256:

@@ -232,3 +232,10 @@ def test_daily_solve_takes_the_days_of_the_table(spark, tmp_path):
     spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string, value double").withColumn("ts", F.col("ts").cast("timestamp")).write.parquet(f"{tmp_path}/events.parquet")
     got = workloads.daily_solve(spark, str(tmp_path)).collect()
     assert [r["day"] for r in got] == ["2023-05-09", "2023-05-11", "2023-05-30"] and all(r["primal"] > 0 for r in got)
+
+
+def test_exact_takes_more_than_64_units(spark):
+    items = spark.createDataFrame([(1, 0, 5.0, [1.0], 2**31 - 1), (1, 1, 3.0, [1.0], 80)], "group_id long, item_id int, profit double, needs array<double>, max_units int")
+    p = KnapsackProblem.from_long(items, [1000.0], Hierarchy.root(100)).pack()
+    assert [tuple(r) for r in subproblem.exact_take(p, [0.5]).collect()] == [(1, 0, 100)]
+    assert [tuple(r) for r in subproblem.greedy_take(p, [0.5]).collect()] == [(1, 0, 100)]
