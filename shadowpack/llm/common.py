@@ -48,18 +48,41 @@ def shared_folder(spark: SparkSession) -> str:
 
 def stage(df: DataFrame, name: str) -> DataFrame:
     """Write df as Parquet into the shared folder and read it back: lineage ends there and lost
-    executors cost nothing. Folders are deleted when the driver ends."""
+    executors cost nothing. Folders are deleted by unstage or release once nothing reads them, or else
+    when the driver ends."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/stage-{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     _STAGED.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._staged_path = path
+    return out
+
+
+def unstage(*frames: DataFrame) -> None:
+    """Delete the folders of staged tables that no result still to be computed reads."""
+    paths = {getattr(f, "_staged_path", None) for f in frames}
+    _delete([x for x in _STAGED if x[1] in paths])
+
+
+def stage_mark() -> int:
+    return len(_STAGED)
+
+
+def release(mark: int, *keep: DataFrame) -> None:
+    """Delete all folders staged since the mark, but for those of `keep`."""
+    paths = {getattr(f, "_staged_path", None) for f in keep}
+    _delete([x for x in _STAGED[mark:] if x[1] not in paths])
 
 
 def clear_stages() -> None:
-    """Delete every staged folder (at the end of the driver; earlier only if no result needs them)."""
-    while _STAGED:
-        spark, path = _STAGED.pop()
+    """Delete every staged folder (at the end of the driver)."""
+    _delete(list(_STAGED))
+
+
+def _delete(staged: list[tuple[SparkSession, str]]) -> None:
+    for spark, path in staged:
+        _STAGED.remove((spark, path))
         try:
             if spark.sparkContext._jsc is None:
                 continue

@@ -153,22 +153,24 @@ def ranges(start: np.ndarray, count: np.ndarray) -> np.ndarray:
 class Runs:
     """Windows of `length` symbols grouped by the winnowed gram that represents them."""
 
-    __slots__ = ("anchor", "count", "digest", "first", "row", "width")
+    __slots__ = ("anchor", "count", "digest", "first", "left", "right", "row", "width")
 
-    def __init__(self, row, first, count, anchor, digest, width):
-        self.row, self.first, self.count, self.anchor, self.digest, self.width = row, first, count, anchor, digest, width
+    def __init__(self, row, first, count, anchor, digest, left, right, width):
+        self.row, self.first, self.count, self.anchor, self.digest, self.left, self.right, self.width = row, first, count, anchor, digest, left, right, width
 
 
 def winnowed_runs(symbols: np.ndarray, bounds: np.ndarray, length: int, gram: int, base: int) -> Runs:
     """For each row (symbols[bounds[r]:bounds[r+1]]) every window of `length` symbols picks the smallest
     hash among its grams (ties: the leftmost), which depends on the window's content alone. Consecutive
     windows with the same pick form a run: row, first window (within the row), number of windows, the
-    picked gram's hash, and a digest of all symbols the run's windows cover."""
+    picked gram's hash, a digest of all symbols the run's windows cover, and hashes (32 bits, 0 for none) of the
+    picked gram with half of a window's other symbols to its left, and to its right. Every window
+    has one of these two halves inside, so runs that share neither share no window."""
     n = np.diff(bounds)
     windows = np.maximum(n - length + 1, 0)
     empty = np.zeros(0, np.int64)
     if not windows.any():
-        return Runs(empty, empty, empty, empty.astype(U), empty.astype(U), length)
+        return Runs(empty, empty, empty, empty.astype(U), empty.astype(U), empty.astype(np.int32), empty.astype(np.int32), length)
     sums = prefix_sums(symbols, base)
     at = np.arange(symbols.size - gram + 1)
     grams = range_hash(sums, at, at + gram, base)
@@ -188,7 +190,16 @@ def winnowed_runs(symbols: np.ndarray, bounds: np.ndarray, length: int, gram: in
     count = np.diff(np.append(head, start.size))
     first, pick, row = start[head], pick[head], row[head]
     digest = mix(range_hash(sums, first, first + count + length - 1, base) ^ mix((pick - first).astype(U) << U(20) | count.astype(U)))
-    return Runs(row, first - bounds[row], count, grams[pick], digest, length)
+    half = (length - gram + 1) // 2
+    end = first + count + length - 1
+    left = np.where(pick - half >= first, half_key(range_hash(sums, np.maximum(pick - half, 0), pick + gram, base)), 0)
+    right = np.where(pick + gram + half <= end, half_key(range_hash(sums, pick, np.minimum(pick + gram + half, symbols.size), base)), 0)
+    return Runs(row, first - bounds[row], count, grams[pick], digest, left.astype(np.int32), right.astype(np.int32), length)
+
+
+def half_key(hashes: np.ndarray) -> np.ndarray:
+    """The high 31 bits, never 0."""
+    return np.maximum((hashes >> U(33)).astype(np.int64), 1)
 
 
 def seven_symbols(symbols: np.ndarray) -> np.ndarray:

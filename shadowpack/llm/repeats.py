@@ -7,8 +7,9 @@ Plan, in terms of rows that move:
    (gram hash, digest of the run's content) per run: about two rows per (length - gram) symbols.
 2. Gram hashes that occur once are dropped by a counted semi join: no window there can repeat.
 3. Runs of equal content are counted and represented by one of them (pre-aggregation: thousands of
-   copies become one context). Where a gram has one context only, its copies answer for it. Texts of
-   the others are cut out of their documents.
+   copies become one context). Two contexts of a gram can only share a window if they share the half window
+   to the left or to the right of the gram: a context that shares neither half with another is
+   answered by its own copies. Texts of the others are cut out of their documents.
 4. Contexts of one gram hash meet in one cell. A resolver (suffix arrays, or factoring against a
    reference) says which of their windows occur again. Grams with many different contexts are split
    over a grid of cells, so that a cell stays bounded and every two contexts still meet.
@@ -25,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship_package, stage
+from .common import ship_package, stage, unstage
 from .kernels import (
     BYTE_BASE,
     WORD_BASE,
@@ -84,7 +85,7 @@ def occurrence_kernel(spec: Repeat) -> Callable:
                     new[1:] = (row[1:] != row[:-1]) | (digest[1:] != digest[:-1]) | (anchor[1:] != anchor[:-1])
                     head = np.flatnonzero(new)
                     firsts = pa.ListArray.from_arrays(pa.array(np.append(head, order.size).astype(np.int32)), pa.array(runs.first[order]))
-                    yield pa.RecordBatch.from_arrays([pa.array(uid[a + row[head]]), firsts, _signed(anchor[head]), _signed(digest[head]), pa.array(runs.count[order][head])], ["_uid", "firsts", "anchor", "digest", "n"])
+                    yield pa.RecordBatch.from_arrays([pa.array(uid[a + row[head]]), firsts, _signed(anchor[head]), _signed(digest[head]), pa.array(runs.count[order][head]), pa.array(runs.left[order][head]), pa.array(runs.right[order][head])], ["_uid", "firsts", "anchor", "digest", "n", "left", "right"])
 
     return kernel
 
@@ -170,17 +171,22 @@ def repeated_windows(docs: DataFrame, spec: Repeat, resolve: Callable) -> tuple[
     ship_package(docs.sparkSession)
     texts = docs.select("_uid", "text").where(F.col("_uid").isNotNull())
     dealt = texts.repartition("_uid")
-    found = stage(texts.mapInArrow(occurrence_kernel(spec), "_uid long, firsts array<long>, anchor long, digest long, n long"), "runs")
+    found = stage(texts.mapInArrow(occurrence_kernel(spec), "_uid long, firsts array<long>, anchor long, digest long, n long, left int, right int"), "runs")
     # written, so that the join deals out both sides afresh and a very common gram can be split
     often = stage(found.groupBy("anchor").agg(F.sum(F.size("firsts")).alias("times")).where("times > 1").select("anchor"), "grams")
     kept = stage(found.join(often, "anchor", "left_semi"), "repeated-grams")
-    kinds = stage(kept.groupBy("anchor", "digest").agg(F.sum(F.size("firsts").cast("long")).alias("copies"), F.min("_uid").alias("_uid"), F.max("n").alias("n")), "contexts")
-    several = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("anchor", F.ceil(F.col("kinds") / CELL_CONTEXTS).cast("long").alias("cells"))
-    # a context that is the only one of its gram has copies, else its gram would not be here, and no other
-    # context to be compared with: all its windows are repeated
-    alone = kinds.join(several, "anchor", "left_anti").select("anchor", "digest", F.lit(0).cast("long").alias("rel"), "n")
+    unstage(found, often)
+    kinds = stage(kept.groupBy("anchor", "digest").agg(F.sum(F.size("firsts").cast("long")).alias("copies"), F.min("_uid").alias("_uid"), F.max("n").alias("n"), F.max("left").alias("left"), F.max("right").alias("right")), "contexts")
+    halves = kinds.select("anchor", "digest", F.explode(F.array(F.struct(F.lit(0).alias("at"), F.col("left").alias("half")), F.struct(F.lit(1).alias("at"), F.col("right").alias("half")))).alias("h")).select("anchor", "digest", "h.at", "h.half").where("half <> 0")
+    shared = halves.groupBy("anchor", "at", "half").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("anchor", "at", "half")
+    met = halves.join(shared, ["anchor", "at", "half"], "left_semi").select("anchor", "digest").distinct()
+    meeting = stage(kinds.join(met, ["anchor", "digest"], "left_semi").select("anchor", "digest", "copies", "_uid"), "meeting-contexts")
+    several = meeting.groupBy("anchor").agg(F.ceil(F.count(F.lit(1)) / CELL_CONTEXTS).cast("long").alias("cells"))
+    # no other context to be compared with, and within one context no window comes twice: its place
+    # around the gram tells windows apart. Copies repeat all its windows
+    alone = kinds.where("copies > 1").join(meeting, ["anchor", "digest"], "left_anti").select("anchor", "digest", F.lit(0).cast("long").alias("rel"), "n")
     wanted = (
-        kinds.join(several, "anchor")
+        meeting.join(several, "anchor")
         .groupBy("_uid")
         .agg(F.collect_list(F.struct("anchor", "digest", "copies", "cells")).alias("wanted"))
     )
@@ -192,7 +198,7 @@ def repeated_windows(docs: DataFrame, spec: Repeat, resolve: Callable) -> tuple[
     celled = contexts.select("anchor", "digest", F.explode(F.arrays_zip(grid.alias("cell"), side.alias("side"))).alias("at"), "copies", "context")
     celled = celled.select("anchor", "digest", F.col("at.cell").alias("cell"), F.col("at.side").alias("side"), "copies", "context")
     answers = celled.repartition("cell").sortWithinPartitions("cell").mapInArrow(resolver_kernel(resolve), "anchor long, digest long, rel long, n long")
-    spans = kept.drop("n").join(answers.unionByName(alone), ["anchor", "digest"]).select("_uid", F.transform("firsts", lambda f: F.struct((f + F.col("rel")).alias("first"), F.col("n").alias("n"))).alias("part")).groupBy("_uid").agg(F.flatten(F.collect_list("part")).alias("spans"))
+    spans = kept.select("_uid", "firsts", "anchor", "digest").join(answers.unionByName(alone), ["anchor", "digest"]).select("_uid", F.transform("firsts", lambda f: F.struct((f + F.col("rel")).alias("first"), F.col("n").alias("n"))).alias("part")).groupBy("_uid").agg(F.flatten(F.collect_list("part")).alias("spans"))
     return dealt, spans
 
 
