@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import oracles
 from .ann import nearest
@@ -66,7 +67,9 @@ def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup(_read(spark, sf_dir, "documents"), with_text=False)
+    out = suffix_dedup(_read(spark, sf_dir, "documents"))
+    # a cut may fall inside a character: what is left of it shows as a replacement character
+    return out.withColumn("kept_text", F.make_valid_utf8(F.col("kept_bytes").cast("string"))).drop("kept_bytes")
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
