@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.columns import price_row
-from ..plans.kernels import Caps, blocks
+from ..plans.kernels import Caps, blocks, linear_block
 from ..plans.kernels import emissions as block_emissions
 from ..plans.problem import KnapsackProblem
 from ..plans.session import ship_package
@@ -49,6 +49,24 @@ def scd_emissions(problem: KnapsackProblem, prices: list[float], knapsacks: list
     return packed_of(problem).mapInArrow(kernel, EMISSIONS)
 
 
+def linear_emissions(problem: KnapsackProblem, prices: list[float], knapsacks: list[int] | None = None) -> DataFrame:
+    """(knapsack, v1, v2) of a packed sparse problem by the linear-time map: the two rivals of each group are
+    selected, not sorted out. A narrow map."""
+    ship_package(problem.items.sparkSession)
+    k, price, q = problem.k, np.array(prices, dtype=float), Caps(problem.hierarchy, problem.levels).single()
+    chosen = np.array(knapsacks or range(1, k + 1))
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for block in blocks(batch, k):
+                knapsack, v1, v2 = linear_block(block, price, q)
+                mine = np.isin(knapsack, chosen)
+                if mine.any():
+                    yield pa.RecordBatch.from_arrays([pa.array(knapsack[mine].astype(np.int32)), pa.array(v1[mine]), pa.array(v2[mine])], ["knapsack", "v1", "v2"])
+
+    return packed_of(problem).mapInArrow(kernel, EMISSIONS)
+
+
 def batch_width(batch: pa.RecordBatch) -> int:
     """Candidates of the batch's largest group: blocks get fewer groups where there are many."""
     m = int(np.diff(batch.column("item_ids").offsets.to_numpy()).max(initial=1))
@@ -76,6 +94,12 @@ def sparse_emissions(entries: DataFrame, prices: list[float], q: int) -> DataFra
 def is_linear_case(problem: KnapsackProblem) -> bool:
     """Whether the linear-time map applies: every item uses at most one knapsack, no two items of a group share
     one, units are 1, and one cap covers the whole group."""
+    if problem.linear is None:
+        problem.linear = _is_linear(problem)
+    return problem.linear
+
+
+def _is_linear(problem: KnapsackProblem) -> bool:
     if Caps(problem.hierarchy, problem.levels).single() is None or not problem.sparse:
         return False
     bad = problem.items.agg(F.count_if(F.coalesce(F.col("max_units"), F.lit(2)) != 1)).first()[0]

@@ -2,13 +2,29 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Value classes of the first pass over the groups.
-VALUE_BUCKETS = 256
+#: Quantile classes of one pass over the groups; groups that one task may order by itself.
+VALUE_BUCKETS, FEW_GROUPS = 256, 20_000
+
+
+@dataclass(frozen=True)
+class Rule:
+    """Groups up to (value, group_id) go; if `touching` is not None, of these only groups that use any of its
+    knapsacks (from 0)."""
+
+    value: float
+    group: int
+    touching: tuple[int, ...] | None = None
+
+    def gone(self) -> Column:
+        """Whether a group (group_id, value, used) goes."""
+        gone = (F.col("value") < self.value) | ((F.col("value") == self.value) & (F.col("group_id") <= self.group))
+        return gone if self.touching is None else gone & touches(self.touching)
 
 
 @dataclass
@@ -18,11 +34,19 @@ class Repair:
     keep: DataFrame
     boundary: tuple[float, int] | None
     dropped: int
+    rule: Rule | None = None
+
+
+def touches(knapsacks) -> Column:
+    out = F.lit(False)
+    for i in knapsacks:
+        out = out | (F.element_at("used", i + 1) > 0)
+    return out
 
 
 def removal_sums(groups: DataFrame, k: int) -> DataFrame:
     """groups (group_id, value, used) with removed_1..k: the use of all groups up to this one, in order of
-    (value, group_id)."""
+    (value, group_id). One task: for few groups."""
     w = Window.orderBy("value", "group_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return groups.select("*", *[F.sum(F.element_at("used", i + 1)).over(w).alias(f"removed_{i + 1}") for i in range(k)])
 
@@ -32,46 +56,56 @@ def repair(groups: DataFrame, used: list[float], budgets: list[float], only_viol
     of (value, group_id) whose removal brings every use within its budget. only_violating: groups that use
     no violated knapsack are passed over.
 
-    Two passes: use per value class (quantile edges, a bounded table, prefixed on the driver), then running
-    sums inside the one class where the last excess goes."""
+    Use per quantile class (a bounded table, prefixed on the driver) tells in which class the last excess
+    goes; that class is cut again, by value and among equal values by group_id, until few groups are left,
+    and these are summed one by one."""
     k = len(budgets)
     excess = [u - b for u, b in zip(used, budgets, strict=True)]
     over = [i for i in range(k) if excess[i] > 0]
     if not over:
         return Repair(groups, None, 0)
-    touches = F.lit(False)
-    for i in over:
-        touches = touches | (F.element_at("used", i + 1) > 0)
-    droppable = groups.where(touches) if only_violating else groups
-    edges = sorted(set(droppable.agg(F.percentile_approx("value", [i / VALUE_BUCKETS for i in range(1, VALUE_BUCKETS)], 10_000).alias("e")).first()["e"] or []))
-    bucket = F.lit(0)
-    if edges:
-        array = F.array(*[F.lit(float(e)) for e in edges])
-        bucket = F.size(F.filter(array, lambda e: e <= F.col("value")))
-    table = droppable.withColumn("bucket", bucket)
-    sums = table.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), *[F.sum(F.element_at("used", i + 1)).alias(f"u{i}") for i in range(k)]).orderBy("bucket").collect()
-    before, count, target = [0.0] * k, 0, None
-    for r in sums:
-        after = [before[i] + r[f"u{i}"] for i in range(k)]
-        if all(after[i] >= excess[i] for i in over):
-            target = r["bucket"]
+    droppable = groups.where(touches(over)) if only_violating else groups
+    inside, before, boundary = droppable, [0.0] * k, None
+    while boundary is None:
+        column, edges, n = _edges(inside)
+        if n <= FEW_GROUPS:
+            enough = F.lit(True)
+            for i in over:
+                enough = enough & (F.col(f"removed_{i + 1}") + F.lit(before[i]) >= F.lit(excess[i]))
+            first, last = F.min(F.when(enough, F.struct("value", "group_id"))), F.max(F.struct("value", "group_id"))
+            r = removal_sums(inside, k).agg(first.alias("first"), last.alias("last")).first()
+            # if even all of them don't suffice, everything droppable goes
+            boundary = r["first"] or r["last"]
             break
-        before, count = after, count + r["n"]
-    if target is None:  # even all of them don't suffice; everything droppable goes
-        last = droppable.agg(F.max(F.struct("value", "group_id")).alias("m")).first()["m"]
-        boundary = (last["value"], last["group_id"])
-    else:
-        inside = removal_sums(table.where(F.col("bucket") == target), k)
-        enough = F.lit(True)
-        for i in over:
-            enough = enough & (F.col(f"removed_{i + 1}") + F.lit(before[i]) >= F.lit(excess[i]))
-        m = inside.where(enough).agg(F.min(F.struct("value", "group_id")).alias("m")).first()["m"]
-        boundary = (m["value"], m["group_id"])
-    value, group = boundary
-    gone = (F.col("value") < value) | ((F.col("value") == value) & (F.col("group_id") <= group))
-    if only_violating:
-        gone = gone & touches
-    return Repair(groups.where(~gone), boundary, groups.where(gone).count())
+        rows = inside.groupBy(_class_of(column, edges).alias("class")).agg(*[F.sum(F.element_at("used", i + 1)).alias(f"u{i}") for i in range(k)]).orderBy("class").collect()
+        target = rows[-1]["class"]
+        for r in rows:
+            after = [before[i] + r[f"u{i}"] for i in range(k)]
+            if all(after[i] >= excess[i] for i in over):
+                target = r["class"]
+                break
+            if r is not rows[-1]:
+                before = after
+        inside = inside.where(_class_of(column, edges) == target)
+    if boundary is None:
+        return Repair(groups, None, 0)
+    rule = Rule(float(boundary["value"]), int(boundary["group_id"]), tuple(over) if only_violating else None)
+    return Repair(groups.where(~rule.gone()), (rule.value, rule.group), groups.where(rule.gone()).count(), rule)
+
+
+def _edges(groups: DataFrame) -> tuple[str, list, int]:
+    """(column to cut by, edges, number of groups): quantiles of the value, or of group_id where all values are
+    equal. Each edge is followed by the next number, so that a value that many groups have is a class of its own."""
+    quantiles = [i / VALUE_BUCKETS for i in range(1, VALUE_BUCKETS)]
+    r = groups.agg(F.count(F.lit(1)).alias("n"), F.min("value").alias("lo"), F.max("value").alias("hi"), *[F.percentile_approx(c, quantiles, 10_000).alias(c) for c in ("value", "group_id")]).first()
+    if r["n"] and r["lo"] == r["hi"]:
+        return "group_id", sorted({e + d for e in r["group_id"] for d in (0, 1)}), r["n"]
+    return "value", sorted({x for e in r["value"] or [] for x in (e, math.nextafter(e, math.inf))}), r["n"]
+
+
+def _class_of(column: str, edges: list) -> Column:
+    """How many edges are at or below the value."""
+    return F.size(F.filter(F.array(*map(F.lit, edges)), lambda e: e <= F.col(column))) if edges else F.lit(0)
 
 
 def drop_groups(decisions: DataFrame, kept: DataFrame) -> DataFrame:

@@ -5,17 +5,18 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.kernels import Caps
-from ..plans.problem import KnapsackProblem
-from .candidates import is_linear_case, scd_emissions, sparse_emissions, sparse_packed
-from .feasibility import drop_groups, repair
+from ..plans.problem import KnapsackProblem, discard, written
+from .candidates import is_linear_case, linear_emissions, scd_emissions
+from .feasibility import repair
 from .measures import Evaluation, evaluate, evaluate_many
+from .passes import next_prices
 from .presolve import sample_problem
 from .subproblem import greedy_take, group_results
-from .thresholds import threshold_bucketed, threshold_exact
+from .thresholds import threshold_exact, threshold_ranged
 
 MOST_ITERATIONS, TOLERANCE = 50, 1e-6
 
@@ -50,7 +51,7 @@ def dd_update(prices: list[float], used: list[float], budgets: list[float], alph
 
 
 def dual_descent(problem: KnapsackProblem, alpha: float, prices0: list[float] | float = 1.0, max_iter: int = MOST_ITERATIONS, tol: float = TOLERANCE) -> Solution:
-    prices = _start(problem, prices0)
+    prices = start_prices(problem, prices0)
     history: list[dict] = []
     for t in range(max_iter):
         began = time.time()
@@ -66,7 +67,7 @@ def dual_descent(problem: KnapsackProblem, alpha: float, prices0: list[float] |
 
 def dd_sweep(problem: KnapsackProblem, alphas: list[float], prices0: list[float] | float = 1.0, max_iter: int = 20) -> dict[float, Solution]:
     """Dual descent for several step sizes at once: each pass over the groups evaluates all of them."""
-    prices = {a: _start(problem, prices0) for a in alphas}
+    prices = {a: start_prices(problem, prices0) for a in alphas}
     histories: dict[float, list[dict]] = {a: [] for a in alphas}
     for t in range(max_iter):
         began = time.time()
@@ -79,7 +80,7 @@ def dd_sweep(problem: KnapsackProblem, alphas: list[float], prices0: list[float]
 def coordinate_descent(problem: KnapsackProblem, prices0: list[float] | float = 1.0, cycles: int = 10, probes: int = 9, rounds: int = 8, tol: float = 1e-4) -> Solution:
     """Plain coordinate descent without candidate prices: the smallest price of one knapsack at which its use
     fits, others fixed, by a narrowing grid; all probes of a round share one pass."""
-    prices = _start(problem, prices0)
+    prices = start_prices(problem, prices0)
     history: list[dict] = []
     for t in range(cycles):
         began, old = time.time(), list(prices)
@@ -118,7 +119,7 @@ def blocks_of(mode: str, k: int, blocks: list[list[int]] | None) -> list[list[in
 
 def scd(
     problem: KnapsackProblem,
-    prices0: list[float] | float = 1.0,
+    prices0: list[float] | float | str = 1.0,
     mode: str = "sync",
     blocks: list[list[int]] | None = None,
     solver: str = "auto",
@@ -135,62 +136,87 @@ def scd(
 ) -> Solution:
     """Synchronous, cyclic or block coordinate descent over critical prices.
 
-    solver: 'linear' (one-knapsack items, one cap), 'general', or 'auto'. reduce: 'exact' by windows, or
-    'bucketed'. With trace, each iteration is measured in a pass of its own. Prices that move at once can
-    overshoot together where knapsacks share items; with damping, a price that swings back by about as
-    much as it came takes half steps, and full ones again once it moves steadily. A price vector that comes
-    back is a cycle: the mode then falls back to 'cyclic', whose steps never raise the dual bound; the
-    best dual prices seen are returned if nothing converges."""
-    prices = _start(problem, prices0)
-    if solver == "auto":
-        solver = "linear" if is_linear_case(problem) else "general"
-    q = Caps(problem.hierarchy, problem.levels).single()
-    entries = sparse_packed(problem).persist() if solver == "linear" else None
-    budgets = {k + 1: b for k, b in enumerate(problem.budgets)}
+    solver: 'linear' (one-knapsack items, one cap), 'general', or 'auto'. reduce: 'bucketed' by histograms made
+    inside the pass, with `interpolate` within the crossing bucket; 'exact', the same with the crossing bucket
+    cut until it holds one price; 'ranged' and 'window' move the emissions themselves, dealt out by price
+    ranges or by one window for each knapsack (few emissions only). threshold: 'crossing', or 'last_fit' where
+    prices are exact. Histogram passes measure the old prices as they go; the other two need a pass more for
+    a trace.
+
+    Prices that move at once can overshoot together where knapsacks share items; with damping, a price that
+    swings back by about as much as it came takes half steps, and full ones again once it moves steadily. A
+    price vector that comes back is a cycle: the mode then falls back to 'cyclic', whose steps never raise
+    the dual bound. The prices of the best dual bound seen are returned if nothing converges."""
+    if threshold not in ("crossing", "last_fit"):
+        raise ValueError(f"unknown threshold {threshold!r}")
+    if reduce not in ("bucketed", "exact", "ranged", "window"):
+        raise ValueError(f"unknown reduce {reduce!r}")
+    interpolate = "exact" if reduce == "exact" else interpolate
+    fused = reduce in ("bucketed", "exact")
+    if threshold == "last_fit" and fused and interpolate != "exact":
+        raise ValueError("last_fit needs exact prices: reduce='exact', or interpolate='exact'")
+    prices = start_prices(problem, prices0)
+    linear = is_linear_case(problem) if solver == "auto" else solver == "linear"
+    spark = problem.items.sparkSession
     history: list[dict] = []
     seen: set[tuple] = set()
+    visited: list[list[float]] = []
     best: tuple[float, list[float]] | None = None
+    counts: dict[int, int] = {}
     converged, t = False, 0
     share, last = [1.0] * problem.k, [0.0] * problem.k
-    try:
-        for t in range(max_iter):
-            began, old = time.time(), list(prices)
-            if trace:
-                e = evaluate(problem, prices)
-                _record(history, t, e, began)
+    for t in range(max_iter):
+        began, old = time.time(), list(prices)
+        visited.append(old)
+        e = evaluate(problem, prices) if trace and not fused else None
+        stop = False
+        for i, block in enumerate(blocks_of(mode, problem.k, blocks)):
+            if fused:
+                found, measured = next_prices(problem, prices, block, linear, interpolate, threshold, delta, eval_at=eval_at, measure=i == 0, counts=counts)
+                e = measured if i == 0 else e
+            else:
+                found = _by_emissions(spark, problem, prices, block, linear, reduce, threshold, eval_at)
+            if i == 0 and e is not None:
                 if best is None or e.dual < best[0]:
-                    best = (e.dual, list(prices))
-                if early_stop_violation is not None and t and e.max_violation <= early_stop_violation:
+                    best = (e.dual, old)
+                stop = early_stop_violation is not None and t > 0 and e.max_violation <= early_stop_violation
+                if stop:
                     break
-            for block in blocks_of(mode, problem.k, blocks):
-                out = sparse_emissions(entries, prices, q).where(F.col("knapsack").isin(block)) if solver == "linear" else scd_emissions(problem, prices, block, eval_at)
-                part = {k: budgets[k] for k in block}
-                if reduce == "exact":
-                    table = problem.items.sparkSession.createDataFrame(list(part.items()), "knapsack int, budget double")
-                    found = {r["knapsack"]: r["price"] for r in threshold_exact(out, table, threshold).collect()}
-                else:
-                    found = threshold_bucketed(out, {k: prices[k - 1] for k in block}, part, delta, interpolate=interpolate)
-                for k, p in found.items():
-                    prices[k - 1] = p
-            if has_converged(old, prices, tol):
-                converged = True
-                break
-            if damping and mode != "cyclic":
-                prices = _damped(old, prices, share, last)
-            key = tuple(round(p, 12) for p in prices)
-            if key in seen and mode == "sync":
-                mode, seen = "cyclic", set()
-            seen.add(key)
-    finally:
-        if entries is not None:
-            entries.unpersist()
-    if not converged and best is not None:
-        e = evaluate(problem, prices)
-        if e.dual > best[0]:
-            prices = best[1]
+            for k, p in found.items():
+                prices[k - 1] = p
+        if trace and e is not None:
+            _record(history, t, e, began)
+        if stop:
+            break
+        if has_converged(old, prices, tol):
+            converged = True
+            break
+        if damping and mode != "cyclic":
+            prices = _damped(old, prices, share, last)
+        key = tuple(round(p, 12) for p in prices)
+        if key in seen and mode != "cyclic":
+            mode, seen = "cyclic", set()
+        seen.add(key)
+    if not converged and tol >= 0 and not stop:
+        # one pass tells which of the prices seen has the best bound
+        rest = [prices] if best is not None else [*visited, prices]
+        for e in evaluate_many(problem, rest):
+            if best is None or e.dual <= best[0]:
+                best = (e.dual, e.prices)
+        prices = list(best[1])
     return Solution(prices, converged, t + 1, history)
 
 
+def _by_emissions(spark, problem: KnapsackProblem, prices: list[float], block: list[int], linear: bool, reduce: str, threshold: str, eval_at: str) -> dict[int, float]:
+    """New prices from the emissions themselves, which leave the tasks."""
+    out = linear_emissions(problem, prices, block) if linear else scd_emissions(problem, prices, block, eval_at)
+    part = {k: problem.budgets[k - 1] for k in block}
+    if reduce == "ranged":
+        return threshold_ranged(out, part, threshold=threshold)
+    table = spark.createDataFrame(list(part.items()), "knapsack int, budget double")
+    return {r["knapsack"]: r["price"] for r in threshold_exact(out, table, threshold).collect()}
+
+
 def _damped(old: list[float], new: list[float], share: list[float], last: list[float]) -> list[float]:
     """Prices after damped steps; updates each price's share of the full step and its last full step."""
     out = []
@@ -203,13 +229,14 @@ def _damped(old: list[float], new: list[float], share: list[float], last: list[f
     return out
 
 
-def presolve_prices(problem: KnapsackProblem, n: int = 10_000, seed: int = 0, prices0: list[float] | float = 1.0, **options) -> list[float]:
+def presolve_prices(problem: KnapsackProblem, n: int = 10_000, seed: int = 0, prices0: list[float] | float | str = 1.0, **options) -> list[float]:
     """Prices of a sample of about n groups under proportional budgets; a start for the full solve, not a
     substitute (on all groups they may violate budgets)."""
     part, got, _ = sample_problem(problem, n, seed)
-    if not got:
-        return _start(problem, prices0)
-    return scd(part, prices0, **({"trace": False, "reduce": "exact"} | options)).prices
+    try:
+        return scd(part, prices0, **({"trace": False, "reduce": "exact"} | options)).prices if got else start_prices(problem, prices0)
+    finally:
+        discard(part.packed)
 
 
 def solve(problem: KnapsackProblem, method: str = "scd", presolve: int | None = None, repair_budgets: bool = True, only_violating: bool = False, alpha: float = 1e-3, **options) -> Solution:
@@ -227,19 +254,26 @@ def solve(problem: KnapsackProblem, method: str = "scd", presolve: int | None =
     else:
         raise ValueError(f"unknown method {method!r}")
     e = evaluate(problem, out.prices, tolerant=True)
-    decisions = greedy_take(problem, out.prices, tolerant=True)
     out.metrics = {"primal_before_repair": e.primal, "dual": e.dual, "max_violation_before_repair": e.max_violation, "n_violated_before_repair": e.n_violated, "dropped": 0}
-    primal = e.primal
+    primal, dropped = e.primal, None
     if repair_budgets and e.n_violated:
-        groups = group_results(problem, out.prices, tolerant=True)
+        groups = written(group_results(problem, out.prices, tolerant=True))
         fixed = repair(groups, e.used, problem.budgets, only_violating)
-        decisions = drop_groups(decisions, fixed.keep)
         primal = float(fixed.keep.agg(F.sum("profit")).first()[0] or 0.0)
         out.metrics["dropped"] = fixed.dropped
+        dropped = fixed.rule
+        discard(groups)
     out.metrics |= {"primal": primal, "gap": e.dual - primal, "relative_gap": (e.dual - primal) / primal if primal else 0.0}
-    out.decisions = decisions
+    # one boundary says which groups go, so decisions are one narrow pass over the groups
+    out.decisions = greedy_take(problem, out.prices, tolerant=True, dropped=dropped)
     return out
 
 
-def _start(problem: KnapsackProblem, prices0: list[float] | float) -> list[float]:
+def start_prices(problem: KnapsackProblem, prices0: list[float] | float | str) -> list[float]:
+    """One price for all, given ones, or 'random' ('random:SEED'): uniform in [0, 2), from the seed alone."""
+    if isinstance(prices0, str):
+        kind, _, seed = prices0.partition(":")
+        if kind != "random":
+            raise ValueError(f"unknown start {prices0!r}")
+        return np.random.default_rng(int(seed or 0)).uniform(0.0, 2.0, problem.k).tolist()
     return [float(prices0)] * problem.k if isinstance(prices0, (int, float)) else [float(p) for p in prices0]

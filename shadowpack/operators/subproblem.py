@@ -15,6 +15,7 @@ from ..plans.hierarchy import Hierarchy
 from ..plans.kernels import Block, Caps, blocks, greedy, net_of
 from ..plans.problem import KnapsackProblem
 from ..plans.session import ship_package
+from .feasibility import Rule
 
 DECISIONS = "group_id long, item_id int, units int"
 
@@ -92,9 +93,9 @@ def solve_block(block: Block, prices: np.ndarray, caps: Caps, tolerant: bool) ->
     return net, greedy(net, block.units, caps.nodes(block), price_tolerance(block.profit) if tolerant else 0.0)
 
 
-def greedy_take(problem: KnapsackProblem, prices: list[float], engine: str = "arrow", tolerant: bool = False) -> DataFrame:
+def greedy_take(problem: KnapsackProblem, prices: list[float], engine: str = "arrow", tolerant: bool = False, dropped: Rule | None = None) -> DataFrame:
     """Decisions (group_id, item_id, units) at fixed prices. engine: 'arrow' on packed rows (a narrow map),
-    'sql' by windows on long rows."""
+    'sql' by windows on long rows. dropped: groups that a repair has dropped take nothing (arrow only)."""
     if engine == "sql":
         return greedy_take_sql(problem, prices)
     ship_package(problem.items.sparkSession)
@@ -104,13 +105,25 @@ def greedy_take(problem: KnapsackProblem, prices: list[float], engine: str = "ar
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for block in blocks(batch, k):
-                _, take = solve_block(block, price, caps, tolerant)
+                net, take = solve_block(block, price, caps, tolerant)
+                if dropped is not None:
+                    take[gone_groups(block, net, take, dropped)] = 0
                 r, j = np.nonzero(take)
                 yield pa.RecordBatch.from_arrays([pa.array(block.group[r]), pa.array(block.ids[r, j].astype(np.int32)), pa.array(take[r, j].astype(np.int32))], ["group_id", "item_id", "units"])
 
     return packed_of(problem).mapInArrow(kernel, DECISIONS)
 
 
+def gone_groups(block: Block, net: np.ndarray, take: np.ndarray, rule: Rule) -> np.ndarray:
+    """The same test as rule.gone(). The boundary group is told by its id: its value may be summed in another order."""
+    value = (net * take).sum(axis=1)
+    gone = (value < rule.value) | (value == rule.value) & (block.group < rule.group) | (block.group == rule.group)
+    if rule.touching is not None:
+        used = (take[:, :, None] * block.needs[:, :, list(rule.touching)]).sum(axis=1)
+        gone &= (used > 0).any(axis=1)
+    return gone
+
+
 def packed_of(problem: KnapsackProblem) -> DataFrame:
     if problem.packed is None:
         raise ValueError("pack() the problem first")

@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import bucket_id, even_bucket_id
+from ..plans.problem import discard, written
 
 
 def running_mass(emissions: DataFrame) -> DataFrame:
@@ -31,27 +32,30 @@ def threshold_exact(emissions: DataFrame, budgets: DataFrame, threshold: str = "
     return budgets.join(per, "knapsack", "left").select("knapsack", F.when(F.col("crossing").isNull(), F.lit(0.0)).otherwise(price).alias("price"))
 
 
-def threshold_ranged(emissions: DataFrame, budgets: dict[int, float], partitions: int = 64) -> dict[int, float]:
-    """Exact crossing thresholds without a window over a whole knapsack: emissions are dealt out by ranges of
-    (knapsack, v1 descending), summed per range, prefixed on the driver (a row per range and knapsack),
-    and only the range that crosses is scanned."""
-    dealt = emissions.groupBy("knapsack", "v1").agg(F.sum("v2").alias("v2")).repartitionByRange(partitions, "knapsack", F.desc("v1")).withColumn("part", F.spark_partition_id()).persist()
-    try:
-        sums = dealt.groupBy("knapsack", "part").agg(F.sum("v2").alias("mass")).orderBy("knapsack", "part").collect()
-        out = {k: 0.0 for k in budgets}
-        above: dict[int, float] = {}
-        target: dict[int, tuple[int, float]] = {}
-        for r in sums:
-            k = r["knapsack"]
-            if k in budgets and k not in target and above.get(k, 0.0) + r["mass"] > budgets[k]:
+def threshold_ranged(emissions: DataFrame, budgets: dict[int, float], partitions: int = 64, threshold: str = "crossing") -> dict[int, float]:
+    """Exact thresholds without a window over a whole knapsack: emissions are dealt out by ranges of (knapsack, v1
+    descending), summed per range, prefixed on the driver (a row per range and knapsack), and only the ranges
+    that cross, or that last fit, are scanned."""
+    dealt = written(emissions.groupBy("knapsack", "v1").agg(F.sum("v2").alias("v2")).repartitionByRange(partitions, "knapsack", F.desc("v1")).withColumn("part", F.spark_partition_id()))
+    sums = dealt.groupBy("knapsack", "part").agg(F.sum("v2").alias("mass"), F.min("v1").alias("lo")).orderBy("knapsack", "part").collect()
+    out = {k: 0.0 for k in budgets}
+    above: dict[int, float] = {}
+    fit: dict[int, float] = {}
+    target: dict[int, tuple[int, float]] = {}
+    for r in sums:
+        k = r["knapsack"]
+        if k in budgets and k not in target:
+            if above.get(k, 0.0) + r["mass"] > budgets[k]:
                 target[k] = (r["part"], budgets[k] - above.get(k, 0.0))
-            above[k] = above.get(k, 0.0) + r["mass"]
-        for k, (part, left) in target.items():
-            one = running_mass(dealt.where((F.col("knapsack") == k) & (F.col("part") == part)))
-            out[k] = float(one.where(F.col("mass") > left).agg(F.max("v1")).first()[0])
-        return out
-    finally:
-        dealt.unpersist()
+            else:
+                above[k], fit[k] = above.get(k, 0.0) + r["mass"], r["lo"]
+    for k, (part, left) in target.items():
+        one = running_mass(dealt.where((F.col("knapsack") == k) & (F.col("part") == part)))
+        r = one.agg(F.max(F.when(F.col("mass") > left, F.col("v1"))).alias("crossing"), F.min(F.when(F.col("mass") <= left, F.col("v1"))).alias("fit")).first()
+        last = fit.get(k) if r["fit"] is None else r["fit"]
+        out[k] = float(r["crossing"] if threshold == "crossing" or last is None else last)
+    discard(dealt)
+    return out
 
 
 def _bucket(delta: float | None, base: float | None, shifted: bool, even_width: float | None) -> Column:

@@ -49,7 +49,8 @@ class Caps:
 
 @dataclass
 class Block:
-    """Groups x items, padded: item ids (-1 where there is none), profits, needs, units, node codes."""
+    """Groups x items, padded: item ids (-1 where there is none), profits, needs, units, node codes; of sparse
+    problems also each item's one knapsack (from 1) and need of it."""
 
     group: np.ndarray
     ids: np.ndarray
@@ -58,9 +59,8 @@ class Block:
     units: np.ndarray
     valid: np.ndarray
     nodes: list[np.ndarray]
-
-    def part(self, a: int, b: int) -> Block:
-        return Block(self.group[a:b], self.ids[a:b], self.profit[a:b], self.needs[a:b], self.units[a:b], self.valid[a:b], [n[a:b] for n in self.nodes])
+    knapsack: np.ndarray | None = None
+    need: np.ndarray | None = None
 
 
 def blocks(batch: pa.RecordBatch, k: int, bytes_per_item: int = 64) -> Iterator[Block]:
@@ -74,6 +74,7 @@ def blocks(batch: pa.RecordBatch, k: int, bytes_per_item: int = 64) -> Iterator[
     needs_offset = batch.column("needs").offsets.to_numpy()
     names = [c for c in batch.schema.names if c.startswith("node")]
     codes = [batch.column(c).values.to_numpy(zero_copy_only=False) for c in names]
+    one = [batch.column(c).values.to_numpy(zero_copy_only=False) for c in ("one_knapsack", "one_need") if c in batch.schema.names]
     group = batch.column("group_id").to_numpy()
     order = np.argsort(size, kind="stable")
     a = 0
@@ -90,7 +91,7 @@ def blocks(batch: pa.RecordBatch, k: int, bytes_per_item: int = 64) -> Iterator[
         base = needs_offset[rows][:, None] + np.arange(m)[None, :] * k
         need_at = np.where(valid, base, 0)[:, :, None] + np.arange(k)[None, None, :]
         if m:
-            yield Block(group[rows], np.where(valid, flat["item_ids"][at], -1), np.where(valid, flat["profits"][at], 0.0), np.where(valid[:, :, None], needs[need_at], 0.0), np.where(valid, flat["units"][at], 0).astype(np.int64), valid, [np.where(valid, c[at], -1) for c in codes])
+            yield Block(group[rows], np.where(valid, flat["item_ids"][at], -1), np.where(valid, flat["profits"][at], 0.0), np.where(valid[:, :, None], needs[need_at], 0.0), np.where(valid, flat["units"][at], 0).astype(np.int64), valid, [np.where(valid, c[at], -1) for c in codes], *(np.where(valid, c[at], 0) for c in one))
         a = b
 
 
@@ -186,3 +187,70 @@ def linear_emissions(profit: np.ndarray, need: np.ndarray, adjusted: np.ndarray,
     ok = (profit > rival) & (need > 0)
     with np.errstate(divide="ignore", invalid="ignore"):
         return ok, np.where(ok, (profit - rival) / need, 0.0)
+
+
+def linear_block(block: Block, prices: np.ndarray, q: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(knapsack from 1, v1, v2) of a block of a sparse problem by the linear-time map."""
+    price = np.append(0.0, prices)[block.knapsack]
+    adjusted = np.where(block.valid, np.maximum(block.profit - price * block.need, 0.0), 0.0)
+    ok, v1 = linear_emissions(block.profit, block.need, adjusted, q)
+    return block.knapsack[ok], v1[ok], block.need[ok]
+
+
+@dataclass(frozen=True)
+class Buckets:
+    """How critical prices of one knapsack are counted. 'uneven': smallest next to `price` and growing
+    exponentially with the distance, in units of `delta`; 'even': of `width` from `low` on; 'value': each
+    price by itself. Only prices within [low, high] count."""
+
+    kind: str
+    price: float = 0.0
+    delta: float = 1.0
+    base: float | None = None
+    shifted: bool = False
+    width: float = 1.0
+    low: float = 0.0
+    high: float = float("inf")
+
+    def of(self, v: np.ndarray) -> np.ndarray:
+        if self.kind == "value":
+            return np.ascontiguousarray(v).view(np.int64)  # positive doubles order as their bits do
+        if self.kind == "even":
+            return np.floor((v - self.low) / self.width).astype(np.int64)
+        d = v - self.price
+        ratio = np.abs(d) / self.delta
+        steps = np.log(np.maximum(ratio, 1.0))
+        steps = np.floor(steps if self.base is None else steps / np.log(self.base))
+        if self.shifted:
+            steps = np.where(ratio < 1.0, 0, steps + 1)
+        return (np.sign(d) * steps).astype(np.int64)
+
+
+class Histogram:
+    """mass, smallest and largest price, and number of the emissions of each bucket."""
+
+    MOST_PENDING = 1 << 16
+
+    def __init__(self, buckets: Buckets):
+        self.buckets = buckets
+        self.rows = [np.zeros(0, np.int64), np.zeros(0), np.zeros(0), np.zeros(0), np.zeros(0, np.int64)]
+        self.pending: list[list[np.ndarray]] = []
+        self.size = 0
+
+    def add(self, v1: np.ndarray, v2: np.ndarray) -> None:
+        keep = (v1 >= self.buckets.low) & (v1 <= self.buckets.high)
+        v1, v2 = v1[keep], v2[keep]
+        if v1.size:
+            self.pending.append([self.buckets.of(v1), v2, v1, v1, np.ones(v1.size, dtype=np.int64)])
+            self.size += v1.size
+            if self.size > self.MOST_PENDING:
+                self.merge()
+
+    def merge(self) -> list[np.ndarray]:
+        if self.pending:
+            bucket, mass, lo, hi, n = (np.concatenate(x) for x in zip(self.rows, *self.pending, strict=True))
+            order = np.argsort(bucket, kind="stable")
+            head = np.flatnonzero(np.diff(bucket[order], prepend=bucket[order][0] - 1))
+            self.rows = [bucket[order][head], np.add.reduceat(mass[order], head), np.minimum.reduceat(lo[order], head), np.maximum.reduceat(hi[order], head), np.add.reduceat(n[order], head)]
+            self.pending, self.size = [], 0
+        return self.rows

@@ -29,6 +29,8 @@ class KnapsackProblem:
     packed: DataFrame | None = None
     #: Caps by item attributes, bottom-up and nested: (column of items, cap); column None is the whole group.
     levels: list[tuple[str | None, int]] = field(default_factory=list)
+    #: Whether the linear-time map applies, once found out.
+    linear: bool | None = None
 
     @property
     def k(self) -> int:
@@ -79,15 +81,16 @@ class KnapsackProblem:
         return self
 
     def pack(self, partitions: int | None = None, path: str | None = None) -> KnapsackProblem:
-        """One row per group: item_ids, profits, needs (item-major, flattened), units; one shuffle by group.
+        """One row per group: item_ids, profits, needs (item-major, flattened), units and, if sparse, one_knapsack
+        and one_need; one shuffle by group.
 
         Written as Parquet to `path`, or to the shared checkpoint folder, and read back: each iteration is
         then a narrow scan, and lost executors lose nothing."""
         named = [c for c, _ in self.levels if c is not None]
-        entry = F.struct("item_id", "profit", "needs", F.coalesce("max_units", F.lit(2**31 - 1)).alias("units"), *(F.col(c).cast("string").alias(f"node{i}") for i, c in enumerate(named)))
+        entry = F.struct("item_id", "profit", "needs", F.coalesce("max_units", F.lit(2**31 - 1)).alias("units"), *(F.col(c).cast("string").alias(f"node{i}") for i, c in enumerate(named)), *(["knapsack", "need"] if self.sparse else []))
         rows = self.items.groupBy("group_id").agg(F.sort_array(F.collect_list(entry)).alias("e"))
         nodes = [_codes(F.col(f"e.node{i}")).alias(f"node{i}") for i in range(len(named))]
-        rows = rows.select("group_id", F.col("e.item_id").alias("item_ids"), F.col("e.profit").alias("profits"), F.flatten("e.needs").alias("needs"), F.col("e.units").alias("units"), *nodes)
+        rows = rows.select("group_id", F.col("e.item_id").alias("item_ids"), F.col("e.profit").alias("profits"), F.flatten("e.needs").alias("needs"), F.col("e.units").alias("units"), *nodes, *([F.col("e.knapsack").alias("one_knapsack"), F.col("e.need").alias("one_need")] if self.sparse else []))
         if partitions:
             rows = rows.repartition(partitions, "group_id")
         return replace(self, packed=written(rows, path))
@@ -124,13 +127,24 @@ def written(df: DataFrame, path: str | None = None) -> DataFrame:
     df.write.mode("overwrite").parquet(path)
     if own:
         _WRITTEN.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_path = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Deletes a table of written() that nothing reads any more."""
+    _remove([x for x in _WRITTEN if x[1] == getattr(df, "_written_path", None)])
 
 
 @atexit.register
 def _remove_written() -> None:
-    while _WRITTEN:
-        spark, path = _WRITTEN.pop()
+    _remove(list(_WRITTEN))
+
+
+def _remove(tables: list[tuple[SparkSession, str]]) -> None:
+    for spark, path in tables:
+        _WRITTEN.remove((spark, path))
         try:
             target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
             target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
