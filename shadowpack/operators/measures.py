@@ -65,7 +65,7 @@ def evaluate_many(problem: KnapsackProblem, price_vectors: list[list[float]], to
             for block in blocks(batch, k):
                 for v, price in enumerate(vectors):
                     net, take = solve_block(block, price, caps, tolerant)
-                    total[v, :k] += np.einsum("gm,gmk->k", take, block.needs)
+                    total[v, :k] += block.total_used(take, k)
                     total[v, k] += (take * block.profit).sum()
                     total[v, k + 1] += (take * net).sum()
                     total[v, k + 2] += take.sum()

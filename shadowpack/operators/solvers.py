@@ -13,7 +13,7 @@ from ..plans.problem import KnapsackProblem, discard, written
 from .candidates import is_linear_case, linear_emissions, scd_emissions
 from .feasibility import repair
 from .measures import Evaluation, evaluate, evaluate_many
-from .passes import next_prices
+from .passes import Memory, next_prices
 from .presolve import sample_problem
 from .subproblem import greedy_take, group_results
 from .thresholds import threshold_exact, threshold_ranged
@@ -146,7 +146,8 @@ def scd(
     Prices that move at once can overshoot together where knapsacks share items; with damping, a price that
     swings back by about as much as it came takes half steps, and full ones again once it moves steadily. A
     price vector that comes back is a cycle: the mode then falls back to 'cyclic', whose steps never raise
-    the dual bound. The prices of the best dual bound seen are returned if nothing converges."""
+    the dual bound. The prices of the best dual bound seen are returned if nothing converges; with a
+    negative tol, which always runs max_iter iterations, the last ones."""
     if threshold not in ("crossing", "last_fit"):
         raise ValueError(f"unknown threshold {threshold!r}")
     if reduce not in ("bucketed", "exact", "ranged", "window"):
@@ -162,7 +163,7 @@ def scd(
     seen: set[tuple] = set()
     visited: list[list[float]] = []
     best: tuple[float, list[float]] | None = None
-    counts: dict[int, int] = {}
+    memory = Memory()
     converged, t = False, 0
     share, last = [1.0] * problem.k, [0.0] * problem.k
     for t in range(max_iter):
@@ -172,7 +173,7 @@ def scd(
         stop = False
         for i, block in enumerate(blocks_of(mode, problem.k, blocks)):
             if fused:
-                found, measured = next_prices(problem, prices, block, linear, interpolate, threshold, delta, eval_at=eval_at, measure=i == 0, counts=counts)
+                found, measured = next_prices(problem, prices, block, linear, interpolate, threshold, delta, eval_at=eval_at, measure=i == 0, memory=memory)
                 e = measured if i == 0 else e
             else:
                 found = _by_emissions(spark, problem, prices, block, linear, reduce, threshold, eval_at)

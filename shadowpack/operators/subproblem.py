@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..functions.columns import net_profit
 from ..plans.hierarchy import Hierarchy
-from ..plans.kernels import Block, Caps, blocks, greedy, net_of
+from ..plans.kernels import Block, Caps, blocks, greedy
 from ..plans.problem import KnapsackProblem
 from ..plans.session import ship_package
 from .feasibility import Rule
@@ -89,7 +89,7 @@ def price_tolerance(profit: np.ndarray) -> np.ndarray:
 
 
 def solve_block(block: Block, prices: np.ndarray, caps: Caps, tolerant: bool) -> tuple[np.ndarray, np.ndarray]:
-    net = np.where(block.valid, net_of(block.profit, block.needs, prices), -1.0)
+    net = np.where(block.valid, block.net(prices), -1.0)
     return net, greedy(net, block.units, caps.nodes(block), price_tolerance(block.profit) if tolerant else 0.0)
 
 
@@ -107,20 +107,19 @@ def greedy_take(problem: KnapsackProblem, prices: list[float], engine: str = "ar
             for block in blocks(batch, k):
                 net, take = solve_block(block, price, caps, tolerant)
                 if dropped is not None:
-                    take[gone_groups(block, net, take, dropped)] = 0
+                    take[gone_groups(block, net, take, dropped, k)] = 0
                 r, j = np.nonzero(take)
                 yield pa.RecordBatch.from_arrays([pa.array(block.group[r]), pa.array(block.ids[r, j].astype(np.int32)), pa.array(take[r, j].astype(np.int32))], ["group_id", "item_id", "units"])
 
     return packed_of(problem).mapInArrow(kernel, DECISIONS)
 
 
-def gone_groups(block: Block, net: np.ndarray, take: np.ndarray, rule: Rule) -> np.ndarray:
+def gone_groups(block: Block, net: np.ndarray, take: np.ndarray, rule: Rule, k: int) -> np.ndarray:
     """The same test as rule.gone(). The boundary group is told by its id: its value may be summed in another order."""
     value = (net * take).sum(axis=1)
     gone = (value < rule.value) | (value == rule.value) & (block.group < rule.group) | (block.group == rule.group)
     if rule.touching is not None:
-        used = (take[:, :, None] * block.needs[:, :, list(rule.touching)]).sum(axis=1)
-        gone &= (used > 0).any(axis=1)
+        gone &= (block.used(take, k)[:, list(rule.touching)] > 0).any(axis=1)
     return gone
 
 
@@ -140,7 +139,7 @@ def group_results(problem: KnapsackProblem, prices: list[float], tolerant: bool
             for block in blocks(batch, k):
                 net, take = solve_block(block, price, caps, tolerant)
                 some = np.flatnonzero(take.any(axis=1))
-                used = (take[some][:, :, None] * block.needs[some]).sum(axis=1)
+                used = block.used(take, k)[some]
                 yield pa.RecordBatch.from_arrays([pa.array(block.group[some]), pa.array((net * take)[some].sum(axis=1)), pa.array((block.profit * take)[some].sum(axis=1)), pa.ListArray.from_arrays(pa.array(np.arange(some.size + 1, dtype=np.int32) * k), pa.array(used.ravel()))], ["group_id", "value", "profit", "used"])
 
     return packed_of(problem).mapInArrow(kernel, "group_id long, value double, profit double, used array<double>")
@@ -175,7 +174,7 @@ def exact_take(problem: KnapsackProblem, prices: list[float], value=None) -> Dat
         tables: dict = {}
         for batch in batches:
             for block in blocks(batch, k):
-                out = []
+                out, needs = [], block.dense(k)
                 for g in range(block.group.size):
                     n = int(block.valid[g].sum())
                     ids = block.ids[g, :n]
@@ -197,7 +196,7 @@ def exact_take(problem: KnapsackProblem, prices: list[float], value=None) -> Dat
                         tables[key] = feasible_takes(list(units), [(m, c) for m, c in named if m])
                     rows = tables[key]
                     gain = rows @ block.profit[g, :n] if value is None else value(ids, block.profit[g, :n], rows)
-                    best = rows[int(np.argmax(gain - rows @ (block.needs[g, :n] @ price)))]
+                    best = rows[int(np.argmax(gain - rows @ (needs[g, :n] @ price)))]
                     out += [(block.group[g], ids[j], best[j]) for j in np.flatnonzero(best)]
                 if out:
                     g_, i_, u_ = zip(*out, strict=True)

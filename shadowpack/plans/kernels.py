@@ -49,19 +49,46 @@ class Caps:
 
 @dataclass
 class Block:
-    """Groups x items, padded: item ids (-1 where there is none), profits, needs, units, node codes; of sparse
-    problems also each item's one knapsack (from 1) and need of it."""
+    """Groups x items, padded: item ids (-1 where there is none), profits, needs, units, node codes. Sparse problems
+    have each item's one knapsack (from 1, 0 where there is none) and its need in place of needs."""
 
     group: np.ndarray
     ids: np.ndarray
     profit: np.ndarray
-    needs: np.ndarray
+    needs: np.ndarray | None
     units: np.ndarray
     valid: np.ndarray
     nodes: list[np.ndarray]
     knapsack: np.ndarray | None = None
     need: np.ndarray | None = None
 
+    def dense(self, k: int) -> np.ndarray:
+        """Needs as groups x items x knapsacks."""
+        if self.needs is not None:
+            return self.needs
+        out = np.zeros((*self.ids.shape, k + 1))
+        np.put_along_axis(out, self.knapsack[:, :, None].astype(np.int64), self.need[:, :, None], axis=2)
+        return out[:, :, 1:]
+
+    def net(self, prices: np.ndarray) -> np.ndarray:
+        """Profit less priced needs; the same bits in either form, as needs of 0 change nothing."""
+        if self.needs is not None:
+            return net_of(self.profit, self.needs, prices)
+        return self.profit - np.append(0.0, prices)[self.knapsack] * self.need
+
+    def used(self, take: np.ndarray, k: int) -> np.ndarray:
+        """Use of each knapsack by each group."""
+        if self.needs is not None:
+            return (take[:, :, None] * self.needs).sum(axis=1)
+        out = np.zeros((self.ids.shape[0], k + 1))
+        np.add.at(out, (np.arange(self.ids.shape[0])[:, None], self.knapsack), take * self.need)
+        return out[:, 1:]
+
+    def total_used(self, take: np.ndarray, k: int) -> np.ndarray:
+        if self.needs is not None:
+            return np.einsum("gm,gmk->k", take, self.needs)
+        return np.bincount(self.knapsack.ravel(), weights=(take * self.need).ravel(), minlength=k + 1)[1:]
+
 
 def blocks(batch: pa.RecordBatch, k: int, bytes_per_item: int = 64) -> Iterator[Block]:
     """Rectangular blocks of a packed batch; groups of like size lie together, so little is padding."""
@@ -70,8 +97,10 @@ def blocks(batch: pa.RecordBatch, k: int, bytes_per_item: int = 64) -> Iterator[
     offsets = batch.column("item_ids").offsets.to_numpy()
     size = np.diff(offsets)
     flat = {c: batch.column(c).values.to_numpy(zero_copy_only=False) for c in ("item_ids", "profits", "units")}
-    needs = batch.column("needs").values.to_numpy(zero_copy_only=False)
-    needs_offset = batch.column("needs").offsets.to_numpy()
+    dense = "needs" in batch.schema.names
+    needs = batch.column("needs").values.to_numpy(zero_copy_only=False) if dense else None
+    needs_offset = batch.column("needs").offsets.to_numpy() if dense else None
+    bytes_per_item += 8 * k * dense
     names = [c for c in batch.schema.names if c.startswith("node")]
     codes = [batch.column(c).values.to_numpy(zero_copy_only=False) for c in names]
     one = [batch.column(c).values.to_numpy(zero_copy_only=False) for c in ("one_knapsack", "one_need") if c in batch.schema.names]
@@ -88,10 +117,13 @@ def blocks(batch: pa.RecordBatch, k: int, bytes_per_item: int = 64) -> Iterator[
         at = offsets[rows][:, None] + np.arange(m)[None, :]
         valid = np.arange(m)[None, :] < size[rows][:, None]
         at = np.where(valid, at, 0)
-        base = needs_offset[rows][:, None] + np.arange(m)[None, :] * k
-        need_at = np.where(valid, base, 0)[:, :, None] + np.arange(k)[None, None, :]
+        table = None
+        if dense:
+            base = needs_offset[rows][:, None] + np.arange(m)[None, :] * k
+            need_at = np.where(valid, base, 0)[:, :, None] + np.arange(k)[None, None, :]
+            table = np.where(valid[:, :, None], needs[need_at], 0.0) if m else None
         if m:
-            yield Block(group[rows], np.where(valid, flat["item_ids"][at], -1), np.where(valid, flat["profits"][at], 0.0), np.where(valid[:, :, None], needs[need_at], 0.0), np.where(valid, flat["units"][at], 0).astype(np.int64), valid, [np.where(valid, c[at], -1) for c in codes], *(np.where(valid, c[at], 0) for c in one))
+            yield Block(group[rows], np.where(valid, flat["item_ids"][at], -1), np.where(valid, flat["profits"][at], 0.0), table, np.where(valid, flat["units"][at], 0).astype(np.int64), valid, [np.where(valid, c[at], -1) for c in codes], *(np.where(valid, c[at], 0) for c in one))
         a = b
 
 
@@ -119,12 +151,18 @@ def greedy(net: np.ndarray, units: np.ndarray, levels: list[tuple[np.ndarray, np
         np.put_along_axis(take, top, np.take_along_axis(np.where(good, units, 0), top, axis=1), axis=1)
         return take
     room = [np.broadcast_to(np.append(caps, np.iinfo(np.int64).max), (rows, caps.size + 1)).copy() for _, caps in levels]
+    whole = [left for (node, caps), left in zip(levels, room, strict=True) if caps.size == 1 and not (node < 0).any()]
     r = np.arange(rows)
     for place in range(m):
-        j = order[:, place]
-        amount = np.where(good[r, j], units[r, j], 0)
-        if not amount.any():
+        # nets fall: a row ends at its first that isn't positive, or once a cap over all items is used up
+        j = order[r, place]
+        open_ = net[r, j] > 0
+        for left in whole:
+            open_ &= left[r, 0] > 0
+        r, j = r[open_], j[open_]
+        if not r.size:
             break
+        amount = np.where(good[r, j], units[r, j], 0)
         at = [np.where(node[r, j] < 0, left.shape[1] - 1, node[r, j]) for (node, _), left in zip(levels, room, strict=True)]
         for n, left in zip(at, room, strict=True):
             amount = np.minimum(amount, left[r, n])
@@ -148,17 +186,28 @@ def candidates(intercept: np.ndarray, slope: np.ndarray) -> np.ndarray:
     return -np.sort(-c, axis=1)
 
 
-def emissions(block: Block, prices: np.ndarray, k: int, levels: list[tuple[np.ndarray, np.ndarray]], eval_at: str = "segment") -> tuple[np.ndarray, np.ndarray]:
+def emissions(block: Block, prices: np.ndarray, k: int, levels: list[tuple[np.ndarray, np.ndarray]], eval_at: str = "segment", window: tuple[float, float] | None = None, needs: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(v1, v2) of all groups of the block: lowering the price of knapsack k below v1 raises its use by v2.
 
     The solution is constant between two neighbouring candidates and is evaluated at the middle ('segment'),
-    or, as an ablation, at the candidate itself ('point')."""
-    slope = block.needs[:, :, k]
-    intercept = np.where(block.valid, net_of(block.profit, block.needs, prices, skip=k), -1.0)
+    or, as an ablation, at the candidate itself ('point'). With a window (low, high], only candidates in it
+    are evaluated one by one; all use that comes above it counts at the lowest candidate above it."""
+    needs = block.dense(prices.size) if needs is None else needs
+    slope = needs[:, :, k]
+    intercept = np.where(block.valid, net_of(block.profit, needs, prices, skip=k), -1.0)
     c = candidates(intercept, np.where(block.valid, slope, 0.0))
+    if window is not None:
+        # few columns hold all that is left: candidates above the window but the lowest, and below it, go
+        low, high = window
+        first = np.maximum((c > high).sum(axis=1) - 1, 0)
+        # one column for the lowest above, and one below the window, where the last segment ends
+        at = first[:, None] + np.arange(int(((c > low) & (c <= high)).sum(axis=1).max(initial=0)) + 2)[None, :]
+        c = np.where(at < c.shape[1], np.take_along_axis(c, np.minimum(at, c.shape[1] - 1), axis=1), 0.0)
     rows, width = c.shape
     lower = np.concatenate([c[:, 1:], np.zeros((rows, 1))], axis=1)
     last = (c > lower) & (c > 0)  # the last of equal candidates
+    if window is not None:
+        last &= c > low
     probe = (c + lower) / 2 if eval_at == "segment" else c
     r, i = np.nonzero(last)
     if not r.size:
@@ -177,6 +226,17 @@ def emissions(block: Block, prices: np.ndarray, k: int, levels: list[tuple[np.nd
     return c[keep], grown[keep]
 
 
+def use_at(block: Block, prices: np.ndarray, k: int, levels: list[tuple[np.ndarray, np.ndarray]], grid: list[float], needs: np.ndarray) -> np.ndarray:
+    """Use of knapsack k by all groups of the block at each of its prices of the grid."""
+    slope = needs[:, :, k]
+    intercept = np.where(block.valid, net_of(block.profit, needs, prices, skip=k), -1.0)
+    out = []
+    for x in grid:
+        net = np.where(block.valid, intercept - x * slope, -1.0)
+        out.append((greedy(net, block.units, levels) * slope).sum())
+    return np.array(out)
+
+
 def linear_emissions(profit: np.ndarray, need: np.ndarray, adjusted: np.ndarray, q: int) -> tuple[np.ndarray, np.ndarray]:
     """Sparse one-to-one case with one cap q: (mask, v1) by selection of the q-th and (q+1)-th value."""
     m = adjusted.shape[1]
@@ -201,7 +261,7 @@ def linear_block(block: Block, prices: np.ndarray, q: int) -> tuple[np.ndarray,
 class Buckets:
     """How critical prices of one knapsack are counted. 'uneven': smallest next to `price` and growing
     exponentially with the distance, in units of `delta`; 'even': of `width` from `low` on; 'value': each
-    price by itself. Only prices within [low, high] count."""
+    price by itself. Only prices within [low, high] count; all those above `top` share one bucket."""
 
     kind: str
     price: float = 0.0
@@ -211,8 +271,12 @@ class Buckets:
     width: float = 1.0
     low: float = 0.0
     high: float = float("inf")
+    top: float = float("inf")
 
     def of(self, v: np.ndarray) -> np.ndarray:
+        return np.where(v > self.top, np.iinfo(np.int64).max, self._of(v))  # which is no price's bits
+
+    def _of(self, v: np.ndarray) -> np.ndarray:
         if self.kind == "value":
             return np.ascontiguousarray(v).view(np.int64)  # positive doubles order as their bits do
         if self.kind == "even":

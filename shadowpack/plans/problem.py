@@ -81,16 +81,17 @@ class KnapsackProblem:
         return self
 
     def pack(self, partitions: int | None = None, path: str | None = None) -> KnapsackProblem:
-        """One row per group: item_ids, profits, needs (item-major, flattened), units and, if sparse, one_knapsack
-        and one_need; one shuffle by group.
+        """One row per group: item_ids, profits, needs (item-major, flattened; if sparse, one_knapsack and one_need in
+        their place), units; one shuffle by group.
 
         Written as Parquet to `path`, or to the shared checkpoint folder, and read back: each iteration is
         then a narrow scan, and lost executors lose nothing."""
         named = [c for c, _ in self.levels if c is not None]
-        entry = F.struct("item_id", "profit", "needs", F.coalesce("max_units", F.lit(2**31 - 1)).alias("units"), *(F.col(c).cast("string").alias(f"node{i}") for i, c in enumerate(named)), *(["knapsack", "need"] if self.sparse else []))
+        needs = [F.col("e.knapsack").alias("one_knapsack"), F.col("e.need").alias("one_need")] if self.sparse else [F.flatten("e.needs").alias("needs")]
+        entry = F.struct("item_id", "profit", *(["knapsack", "need"] if self.sparse else ["needs"]), F.coalesce("max_units", F.lit(2**31 - 1)).alias("units"), *(F.col(c).cast("string").alias(f"node{i}") for i, c in enumerate(named)))
         rows = self.items.groupBy("group_id").agg(F.sort_array(F.collect_list(entry)).alias("e"))
         nodes = [_codes(F.col(f"e.node{i}")).alias(f"node{i}") for i in range(len(named))]
-        rows = rows.select("group_id", F.col("e.item_id").alias("item_ids"), F.col("e.profit").alias("profits"), F.flatten("e.needs").alias("needs"), F.col("e.units").alias("units"), *nodes, *([F.col("e.knapsack").alias("one_knapsack"), F.col("e.need").alias("one_need")] if self.sparse else []))
+        rows = rows.select("group_id", F.col("e.item_id").alias("item_ids"), F.col("e.profit").alias("profits"), *needs, F.col("e.units").alias("units"), *nodes)
         if partitions:
             rows = rows.repartition(partitions, "group_id")
         return replace(self, packed=written(rows, path))

@@ -625,7 +625,7 @@ def decision_diff(spark, sf_dir):
 def packed_groups(spark, sf_dir):
     p = KnapsackProblem.from_long(I.user_offers(spark, sf_dir), [1.0] * 5, Hierarchy.root(1)).pack()
     total = lambda c: F.aggregate(c, F.lit(0.0), lambda a, x: a + x)
-    return p.packed.select("group_id", F.size("item_ids").cast("bigint").alias("items"), total("profits").alias("profit"), total("needs").alias("need"))
+    return p.packed.select("group_id", F.size("item_ids").cast("bigint").alias("items"), total("profits").alias("profit"), total("one_need").alias("need"))
 
 
 @query("SELECT event_type, count(*) AS n, count(json_extract_string(props, '$.k')) AS with_k FROM events GROUP BY 1")
@@ -692,17 +692,17 @@ def _workload(name: str, f) -> None:
 
 for _name, _f in {
     "solve_offers": workloads.solve_offers,
-    "opt_ratio_order_lines": lambda s, d: workloads.optimality_order_lines(s, d, (2,)),
-    "opt_ratio_lattice": lambda s, d: workloads.optimality_lattice(s, d, 1000, (5,)),
-    "gap_sparse": lambda s, d: workloads.gap_sparse(s, d, 5000, (1, 5, 10)),
-    "presolve_iterations": lambda s, d: workloads.presolve_effect(s, d, (20_000,)),
+    "opt_ratio_order_lines": workloads.optimality_order_lines,
+    "opt_ratio_lattice": workloads.optimality_lattice,
+    "gap_sparse": workloads.gap_sparse,
+    "presolve_iterations": workloads.presolve_effect,
     "presolve_customers": workloads.presolve_customers,
-    "descent_traces": lambda s, d: workloads.descent_traces(s, d, 5000, 10, iterations=8),
+    "descent_traces": workloads.descent_traces,
     "scd_modes": workloads.modes,
     "bucket_error": workloads.bucket_error,
     "repair_effect": workloads.repair_effect,
     "daily_solve": workloads.daily_solve,
-    "linear_speedup": lambda s, d: workloads.linear_speedup(s, d, 5000),
+    "linear_speedup": workloads.linear_speedup,
     "greedy_vs_exact": workloads.greedy_against_exact,
     "single_knapsack": workloads.single_knapsack,
 }.items():

@@ -239,3 +239,142 @@ def test_exact_takes_more_than_64_units(spark):
     p = KnapsackProblem.from_long(items, [1000.0], Hierarchy.root(100)).pack()
     assert [tuple(r) for r in subproblem.exact_take(p, [0.5]).collect()] == [(1, 0, 100)]
     assert [tuple(r) for r in subproblem.greedy_take(p, [0.5]).collect()] == [(1, 0, 100)]
+
+
+def test_ways_to_reduce_agree(spark):
+    p = random_problem(spark, 21, groups=300, m=5, k=3)
+    start = [2.0, 1.0, 0.5]
+    for mode, blocks in (("sync", None), ("block", [[1, 3], [2]])):
+        got = [solvers.scd(p, start, mode=mode, blocks=blocks, reduce=r, threshold=t, max_iter=4, tol=-1.0).prices for t in ("crossing", "last_fit") for r in ("exact", "ranged", "window")]
+        assert all(pytest.approx(got[3 * t]) == got[3 * t + i] for t in range(2) for i in (1, 2))
+        assert got[0] != got[3]
+    with pytest.raises(ValueError):
+        solvers.scd(p, threshold="last_fit")
+    with pytest.raises(ValueError):
+        solvers.scd(p, reduce="sorted")
+
+
+def test_histograms_of_the_pass_are_those_of_the_emissions(spark, monkeypatch):
+    from shadowpack.operators import passes
+    from shadowpack.plans.kernels import Buckets
+
+    p = random_problem(spark, 22, groups=400, m=6, k=2)
+    prices = [1.5, 2.5]
+    out = candidates.scd_emissions(p, prices).groupBy("knapsack", "v1").agg(F.sum("v2").alias("v2")).collect()
+    rows, e, _ = passes.run_pass(p, prices, {1: Buckets("value"), 2: Buckets("value")}, False)
+    assert sorted((k, r["hi"], r["mass"]) for k, many in rows.items() for r in many) == sorted((r["knapsack"], r["v1"], r["v2"]) for r in out)
+    assert e == measures.evaluate(p, prices)
+    # within a window: the same prices, and one row for all that comes above
+    low, high = 0.8, 2.0
+    near = passes.run_pass(p, prices, {1: Buckets("value")}, False, windows={1: (low, high)})[0][1]
+    assert [(r["hi"], r["mass"]) for r in near[1:]] == [(r["hi"], r["mass"]) for r in rows[1] if low < r["hi"] <= high]
+    assert near[0]["mass"] == sum(r["mass"] for r in rows[1] if r["hi"] > high)
+    # a price found by probes and windows is the one found in all emissions, few or many to a bucket
+    for few in (20_000, 3):
+        monkeypatch.setattr(passes, "FEW", few)
+        memory = passes.Memory()
+        for _ in range(3):
+            new, _ = passes.next_prices(p, prices, [1, 2], False, "exact", memory=memory)
+            assert list(new.values()) == pytest.approx(solvers.scd(p, prices, reduce="window", max_iter=1, tol=-1.0, damping=False).prices)
+            prices = [(a + b) / 2 for a, b in zip(prices, new.values(), strict=True)]
+
+
+def test_few_rows_leave_a_task(spark):
+    from shadowpack.operators import passes
+    from shadowpack.plans.kernels import Buckets
+
+    p = lattice_problem(spark, 3000, 6, 3, False, "hier", uniform=True)
+    out = passes.pass_rows(p, [0.2] * 3, {k: Buckets("uneven", 0.2, 1e-3) for k in (1, 2, 3)}, False)
+    assert out.count() <= 3 * 40 + 6
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert plan.index("MapInArrow") > plan.index("Exchange") > 0  # the only exchange is of the histogram
+
+
+def test_best_bound_without_a_trace(spark):
+    p = random_problem(spark, 5, groups=60)
+    for reduce in ("exact", "window"):
+        traced = solvers.scd(p, 1.0, reduce=reduce, max_iter=4, tol=0.0)
+        bare = solvers.scd(p, 1.0, reduce=reduce, max_iter=4, tol=0.0, trace=False)
+        assert bare.prices == traced.prices and not bare.history
+        if not traced.converged:
+            assert measures.evaluate(p, bare.prices).dual <= min(h["dual"] for h in traced.history) + 1e-9
+
+
+def test_cycles_fall_back_in_any_mode_and_random_starts(spark, monkeypatch):
+    p = random_problem(spark, 5, groups=20)
+    modes = []
+    blocks_of = solvers.blocks_of
+    monkeypatch.setattr(solvers, "blocks_of", lambda mode, *a: modes.append(mode) or blocks_of(mode, *a))
+    swing = iter([[2.0, 1.0], [1.0, 2.0]] * 20)
+
+    def swinging(problem, prices, block, *_, measure=True, **__):
+        now = next(swing)
+        return {k: now[k - 1] for k in block}, measures.evaluate(problem, prices) if measure else None
+
+    monkeypatch.setattr(solvers, "next_prices", swinging)
+    solvers.scd(p, 1.0, mode="block", blocks=[[1, 2]], max_iter=8, damping=False, tol=0.0)
+    assert modes[0] == "block" and modes[-1] == "cyclic"
+    assert solvers.start_prices(p, "random:7") == solvers.start_prices(p, "random:7") != solvers.start_prices(p, "random:8")
+    with pytest.raises(ValueError):
+        solvers.start_prices(p, "warm")
+
+
+@pytest.mark.parametrize("values", [1, 3, 10_000])
+def test_repair_of_ties_without_a_task_for_all(spark, monkeypatch, values):
+    from shadowpack.operators import feasibility
+
+    rng = random.Random(values)
+    rows = [(g, float(rng.randrange(values)), 1.0, [float(rng.randint(0, 3)), float(rng.randint(0, 3))]) for g in range(2000)]
+    groups = spark.createDataFrame(rows, "group_id long, value double, profit double, used array<double>").repartition(5)
+    used = [sum(r[3][k] for r in rows) for k in range(2)]
+    monkeypatch.setattr(feasibility, "FEW_GROUPS", 50)
+    for budgets, only in (([0.7 * used[0], used[1]], False), ([0.7 * used[0], used[1]], True), ([0.0, 0.0], False)):
+        over = [k for k in range(2) if used[k] > budgets[k]]
+        gone, left = [], list(used)
+        for g, value, _, need in sorted(rows, key=lambda r: (r[1], r[0])):
+            if all(left[k] <= budgets[k] for k in over):
+                break
+            if not only or any(need[k] > 0 for k in over):
+                gone.append(g)
+                left = [x - y for x, y in zip(left, need, strict=True)]
+        fixed = feasibility.repair(groups, used, budgets, only)
+        if budgets == [0.0, 0.0]:
+            assert all(sum(r["used"]) == 0 for r in fixed.keep.collect())
+        else:
+            assert fixed.dropped == len(gone) and not {r["group_id"] for r in fixed.keep.collect()} & set(gone)
+
+
+def test_dropped_groups_take_nothing(spark):
+    from shadowpack.operators.feasibility import drop_groups, repair
+
+    p = random_problem(spark, 31, groups=500, m=4, k=2)
+    prices = [0.2, 0.2]
+    e, groups = measures.evaluate(p, prices), subproblem.group_results(p, prices)
+    for only in (False, True):
+        fixed = repair(groups, e.used, p.budgets, only)
+        assert fixed.dropped > 0
+        assert decided(subproblem.greedy_take(p, prices, dropped=fixed.rule)) == decided(drop_groups(subproblem.greedy_take(p, prices), fixed.keep))
+
+
+def test_density_order_in_ranges(spark):
+    rng = random.Random(2)
+    rows = [(i, float(rng.randint(1, 9)), float(rng.randint(1, 9))) for i in range(500)]
+    items = spark.createDataFrame(rows, "item_id int, profit double, need double").repartition(6)
+    before, want = 0.0, {}
+    for i, _, need in sorted(rows, key=lambda r: (-r[1] / r[2], r[0])):
+        want[i] = before
+        before += need
+    assert {r["item_id"]: r["before"] for r in groundtruth.by_density(items).collect()} == want
+    with pytest.raises(ValueError):
+        groundtruth.dp_exact(kp01(items, 1e9))
+
+
+def test_violated_caps_are_counted(spark):
+    p = random_problem(spark, 8, groups=40, m=4, caps=((1, (0, 1)), (2, None)))
+    loose = KnapsackProblem.from_long(p.items.drop("max_units"), p.budgets, Hierarchy.root(3)).pack()
+    taken = subproblem.greedy_take(loose, [0.0, 0.0])
+    got = {}
+    for g, i, u in decided(taken):
+        got.setdefault(g, []).append((i, u))
+    want = sum((sum(u for i, u in x if i in (0, 1)) > 1) + (sum(u for _, u in x) > 2) for x in got.values())
+    assert measures.local_violations(p, taken) == want > 0
