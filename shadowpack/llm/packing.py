@@ -303,14 +303,17 @@ def pack(docs: DataFrame, tokenizer_path: str) -> DataFrame:
     fill = F.pmod(F.xxhash64(F.col("_uid"), F.lit(7)), F.lit(FILLER_ONE_IN)) == 0
     tokens = stage(ids.select("_uid", "text", fill.alias("fill")).mapInArrow(token_kernel(shared), "_uid long, n long, sums array<long>, ids binary"), "tokens")
     normal = tokens.where("ids is null").select("_uid", "n", "sums", F.floor(F.col("n") / SEQUENCE).alias("full"), (F.col("n") % SEQUENCE).alias("rest"))
+    # running sums carry a few numbers for each document; ids and checksums come back by join, so a part of so
+    # many rows is bounded in bytes too
     rows = tokens.count()
     parts = max(4, math.ceil(rows / PART_ROWS))
     # whole sequences of one document
-    whole = prefix_sums_of(normal.where("full > 0"), "full", parts, "_uid").select("_uid", "n", "before", F.explode(F.sequence(F.lit(0).cast("long"), F.col("full") - 1)).alias("k"), "sums")
+    ahead_of = prefix_sums_of(normal.where("full > 0").select("_uid", "full"), "full", parts, "_uid").select("_uid", "before")
+    whole = ahead_of.join(normal.where("full > 0"), "_uid").select("_uid", "n", "before", F.explode(F.sequence(F.lit(0).cast("long"), F.col("full") - 1)).alias("k"), "sums")
     whole = whole.select("_uid", (F.col("k") * SEQUENCE).alias("start"), F.lit(SEQUENCE).cast("long").alias("length"), F.element_at("sums", (F.col("k") + 1).cast("int")).alias("ids_crc32"), F.col("n").alias("doc_tokens"), (F.col("before") + F.col("k")).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
     n_whole = normal.agg(F.coalesce(F.sum("full"), F.lit(0))).first()[0]
     # rests by class and pattern
-    rest = normal.where("rest > 0").withColumn("class", F.ceil(F.col("rest") / CLASS_TOKENS).cast("int"))
+    rest = normal.where("rest > 0").select("_uid", "n", "full", "rest", F.element_at("sums", -1).alias("ids_crc32"), F.ceil(F.col("rest") / CLASS_TOKENS).cast("int").alias("class"))
     histogram = {r["class"]: r["count"] for r in rest.groupBy("class").count().collect()}
     classes = np.array(sorted(histogram), dtype=np.int64)
     patterns, _ = cutting_stock(classes, np.array([histogram[c] for c in classes.tolist()], dtype=np.int64), SEQUENCE // CLASS_TOKENS)
@@ -325,13 +328,14 @@ def pack(docs: DataFrame, tokenizer_path: str) -> DataFrame:
     ranked = prefix_sums_of(rest.withColumn("one", F.lit(1)), "one", parts, "_uid", ["class"]).withColumnRenamed("before", "rank")
     put = ranked.join(places_df, "class").where("rank >= lo and rank < hi").withColumn("sequence_id", F.col("first_sequence") + F.floor((F.col("rank") - F.col("lo")) / F.col("per")))
     ahead = F.sum("rest").over(Window.partitionBy("sequence_id").orderBy(F.desc("rest"), "_uid").rowsBetween(Window.unboundedPreceding, -1))
-    put = stage(put.select("_uid", (F.col("full") * SEQUENCE).alias("start"), F.col("rest").alias("length"), F.element_at("sums", -1).alias("ids_crc32"), F.col("n").alias("doc_tokens"), "sequence_id", F.coalesce(ahead, F.lit(0)).cast("long").alias("offset")), "rests")
+    put = stage(put.select("_uid", (F.col("full") * SEQUENCE).alias("start"), F.col("rest").alias("length"), "ids_crc32", F.col("n").alias("doc_tokens"), "sequence_id", F.coalesce(ahead, F.lit(0)).cast("long").alias("offset")), "rests")
     # the filler stream and the gaps it fills
     used = put.groupBy("sequence_id").agg(F.sum("length").alias("used"))
     gaps = used.where(F.col("used") < SEQUENCE).select("sequence_id", "used", (F.lit(SEQUENCE) - F.col("used")).alias("gap"))
     gaps = stage(prefix_sums_of(gaps, "gap", parts, "sequence_id").select("sequence_id", "used", F.col("before").alias("lo"), (F.col("before") + F.col("gap")).alias("hi")), "gaps")
     open_ = gaps.agg(F.coalesce(F.max("hi"), F.lit(0))).first()[0]
-    stream = prefix_sums_of(tokens.where("ids is not null"), "n", parts, "_uid").select("_uid", "n", "ids", F.col("before").alias("lo"), (F.col("before") + F.col("n")).alias("hi"))
+    stream_places = prefix_sums_of(tokens.where("ids is not null").select("_uid", "n"), "n", parts, "_uid")
+    stream = stream_places.join(tokens.where("ids is not null").select("_uid", "ids"), "_uid").select("_uid", "n", "ids", F.col("before").alias("lo"), (F.col("before") + F.col("n")).alias("hi"))
     total = tokens.where("ids is not null").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     more = max(0, total - open_)
     full_more = more // SEQUENCE
