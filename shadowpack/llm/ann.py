@@ -4,10 +4,11 @@ Centroids are fitted on a bounded sample; their number grows with the table up t
 the graph between them are broadcast. Every distinct vector is listed under its nearest centroid, and
 under further ones that are almost as near (boundary replicas). A query searches the centroid graph,
 keeps the nearest lists, and further ones whose distance is within a ratio of the nearest one's, and is
-compared exactly with their vectors. A query that finds too few is compared with all. The ratio is set from the data: the true neighbours of a bounded number of vectors,
-found by brute force over the whole table, must be in reach, so that recall doesn't fall as tables grow
-or clusters fade. Long lists are dealt out in pieces, so that no task takes a whole popular list, and
-equal vectors are one entry, whatever their number."""
+compared exactly with their vectors. A query that finds too few is compared with all. The ratio is set
+from the data: the true neighbours of a bounded number of vectors, found by brute force over the whole
+table, must be in reach, so that recall doesn't fall as tables grow or clusters fade. Long lists are dealt
+out in pieces, so that no task takes a whole popular list, and equal vectors are one entry, whatever their
+number. Entries of equal cosine go by their smallest vec_id wherever some are left out."""
 
 from __future__ import annotations
 
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ship_package, stage
+from .common import release, ship_package, stage, stage_mark
 
 #: Vectors to fit centroids on; centroids at most; vectors a list should hold; replicas at most.
 SAMPLE, MOST_CENTROIDS, LIST_VECTORS, REPLICAS = 20_000, 8192, 128, 4
@@ -34,6 +35,8 @@ CALIBRATION, REACH, LEAST_LISTS = 256, 0.985, 8
 EDGES, BEAM = 12, 48
 #: Vectors of one list that one task compares at a time; queries compared with all vectors in one pass.
 PIECE, PASS_QUERIES = 4096, 1024
+#: Error bound of a cosine by matrix product; pairs whose cosine is computed at a time.
+ROUNDING, PAIRS = 1e-12, 1 << 15
 
 
 def fit_centroids(sample: np.ndarray, count: int, rounds: int = 8) -> np.ndarray:
@@ -165,47 +168,70 @@ def matrix(column: pa.Array, dim: int) -> np.ndarray:
 
 
 def place_kernel(shared, dim: int, ratio: float, most: int, least: int = 1):
-    """(key, vector) -> (key, list) for every list a vector belongs to, or a query looks into."""
+    """(key, vec_id, vector) -> (key, vec_id, list, vector) for every list a vector belongs to, or a query looks into."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         centroids, graph = shared.value
         for batch in batches:
             for a in range(0, batch.num_rows, 512):
                 part = batch.slice(a, 512)
-                x = matrix(part.column(1), dim)
+                x = matrix(part.column(2), dim)
                 x = (x / np.linalg.norm(x, axis=1, keepdims=True)).astype(np.float32)
                 ids, cos = search_graph(x, centroids, graph, max(BEAM, most))
                 keep = lists_within(ids, cos, ratio, most, least)
                 row, col = np.nonzero(keep)
-                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row)), pa.array(ids[row, col]), part.column(1).take(pa.array(row))], ["key", "list", "vector"])
+                at = pa.array(row)
+                yield pa.RecordBatch.from_arrays([part.column(0).take(at), part.column(1).take(at), pa.array(ids[row, col]), part.column(2).take(at)], ["key", "vec_id", "list", "vector"])
 
     return kernel
 
 
+def first_of(row: np.ndarray, score: np.ndarray, vec_id: np.ndarray, n: int) -> np.ndarray:
+    """Numbers of each row's n best entries: by score, ties to the smaller vec_id."""
+    order = np.lexsort((vec_id, -score, row))
+    sorted_ = row[order]
+    return order[np.arange(order.size) - np.searchsorted(sorted_, sorted_) < n]
+
+
+def best_entries(q: np.ndarray, v: np.ndarray, vec_id: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row of q, row of v, cosine) of the n best of v for each of q. Cosines that count are summed pair by pair, in an
+    order that depends on nothing else: equal ones are equal wherever they are computed."""
+    q_norm, v_norm = np.sqrt((q * q).sum(axis=1)), np.sqrt((v * v).sum(axis=1))
+    rough = (q @ v.T) / (q_norm[:, None] * v_norm[None, :])
+    top = min(n, v.shape[0])
+    floor = np.partition(rough, v.shape[0] - top, axis=1)[:, v.shape[0] - top]
+    row, col = np.nonzero(rough >= floor[:, None] - ROUNDING)
+    score = np.empty(row.size)
+    for a in range(0, row.size, PAIRS):
+        r, c = row[a : a + PAIRS], col[a : a + PAIRS]
+        score[a : a + PAIRS] = (q[r] * v[c]).sum(axis=1) / (q_norm[r] * v_norm[c])
+    keep = first_of(row, score, vec_id[col], n)
+    return row[keep], col[keep], score[keep]
+
+
+FOUND = "query long, key long, vec_id long, score double"
+
+
 def compare_kernel(dim: int, k: int):
-    """Pieces of lists arrive in order, each with its queries behind its vectors: (piece, is_query, key,
-    vector). Yields each query's k + 1 nearest keys of the piece, in double precision."""
+    """Pieces of lists arrive in order, each with its queries behind its vectors: (piece, is_query, key, smallest
+    vec_id, vector). Yields each query's k + 1 nearest entries of the piece, in double precision."""
 
     def answers(vectors, queries):
         if not vectors or not queries:
             return
-        v_keys, v = np.concatenate([x[0] for x in vectors]), np.concatenate([x[1] for x in vectors])
-        v_norm = np.linalg.norm(v, axis=1)
+        v_keys, v_ids, v = (np.concatenate([x[i] for x in vectors]) for i in range(3))
         for q_keys, q in queries:
             for a in range(0, q_keys.size, 256):
-                qk, qv = q_keys[a : a + 256], q[a : a + 256]
-                s = (qv @ v.T) / (np.linalg.norm(qv, axis=1)[:, None] * v_norm[None, :])
-                top = min(k + 1, v_keys.size)
-                near = np.argpartition(-s, top - 1, axis=1)[:, :top]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qk, top)), pa.array(v_keys[near].ravel()), pa.array(np.take_along_axis(s, near, axis=1).ravel())], ["query", "key", "score"])
+                row, col, score = best_entries(q[a : a + 256], v, v_ids, k + 1)
+                yield pa.RecordBatch.from_arrays([pa.array(q_keys[a + row]), pa.array(v_keys[col]), pa.array(v_ids[col]), pa.array(score)], ["query", "key", "vec_id", "score"])
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, vectors, queries = None, [], []
         for batch in batches:
             if not batch.num_rows:
                 continue
-            piece, is_query, keys = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
-            x = matrix(batch.column(3), dim)
+            piece, is_query, keys, ids = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(4))
+            x = matrix(batch.column(4), dim)
             cuts = np.concatenate([[0], np.flatnonzero((piece[1:] != piece[:-1]) | (is_query[1:] != is_query[:-1])) + 1, [piece.size]])
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 if piece[a] != now:
@@ -215,28 +241,26 @@ def compare_kernel(dim: int, k: int):
                     # queries come last and are answered as they come: none are held
                     yield from answers(vectors, [(keys[a:b], x[a:b])])
                 else:
-                    vectors.append((keys[a:b], x[a:b]))
+                    vectors.append((keys[a:b], ids[a:b], x[a:b]))
 
     return kernel
 
 
-def exact_kernel(shared, dim: int, most: int):
-    """(key, vector) -> each asked query's `most` nearest keys of the task, in double precision."""
+def exact_kernel(shared, dim: int, k: int):
+    """(key, vec_id, vector) -> each asked query's k + 1 nearest entries of the task, in double precision."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         asked, q = shared.value
-        norm = np.linalg.norm(q, axis=1)[:, None]
-        keys, score = np.zeros((asked.size, 0), dtype=np.int64), np.zeros((asked.size, 0))
+        held = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
         for batch in batches:
             for a in range(0, batch.num_rows, PIECE):
                 part = batch.slice(a, PIECE)
-                v = matrix(part.column(1), dim)
-                keys = np.concatenate([keys, np.broadcast_to(part.column(0).to_numpy(), (asked.size, v.shape[0]))], axis=1)
-                score = np.concatenate([score, (q @ v.T) / (norm * np.linalg.norm(v, axis=1)[None, :])], axis=1)
-                top = min(most, keys.shape[1])
-                near = np.argpartition(-score, top - 1, axis=1)[:, :top]
-                keys, score = np.take_along_axis(keys, near, axis=1), np.take_along_axis(score, near, axis=1)
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(asked, keys.shape[1])), pa.array(keys.ravel()), pa.array(score.ravel())], ["query", "key", "score"])
+                keys, ids = (part.column(i).to_numpy(zero_copy_only=False) for i in range(2))
+                row, col, score = best_entries(q, matrix(part.column(2), dim), ids, k + 1)
+                both = [np.concatenate(x) for x in zip(held, (row, keys[col], ids[col], score), strict=True)]
+                keep = first_of(both[0], both[3], both[2], k + 1)
+                held = tuple(x[keep] for x in both)
+        yield pa.RecordBatch.from_arrays([pa.array(asked[held[0]]), *map(pa.array, held[1:])], ["query", "key", "vec_id", "score"])
 
     return kernel
 
@@ -256,6 +280,7 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     Fit on at most SAMPLE distinct vectors (those of the smallest hashes); every vector is listed."""
     spark = vectors.sparkSession
     ship_package(spark)
+    mark = stage_mark()
     doubles = F.transform("embedding", lambda x: x.cast("double"))
     usable = vectors.select("vec_id", doubles.alias("vector")).where("vec_id is not null and vector is not null")
     norm = F.aggregate("vector", F.lit(0.0), lambda s, x: s + x * x)
@@ -268,7 +293,7 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     # equal vectors: one entry, with the k + 1 smallest ids
     nth = F.row_number().over(Window.partitionBy("key").orderBy("vec_id"))
     smallest = rows.select("key", "vec_id").withColumn("nth", nth).where(F.col("nth") <= k + 1).select("key", "vec_id")
-    entries = stage(rows.groupBy("key").agg(F.first("vector").alias("vector")), "entries")
+    entries = stage(rows.groupBy("key").agg(F.min("vec_id").alias("vec_id"), F.first("vector").alias("vector")), "entries")
     count = entries.count()
     sample = np.array([r["vector"] for r in entries.orderBy(F.xxhash64(F.lit(3), "key")).limit(SAMPLE).select("vector").collect()])
     sample = (sample / np.linalg.norm(sample, axis=1, keepdims=True)).astype(np.float32)
@@ -277,23 +302,25 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     shared = spark.sparkContext.broadcast((centroids, graph))
     prune, most = reach(entries, centroids, graph, dim, k)
     array = "array<double>"
-    listed = entries.select("key", "vector").mapInArrow(place_kernel(shared, dim, CLOSE, REPLICAS), f"key long, list long, vector {array}")
-    asked = rows.where(F.col("vec_id") % every == 0).select("key").distinct().join(entries, "key").select("key", "vector")
-    looked = asked.mapInArrow(place_kernel(shared, dim, prune, most, LEAST_LISTS), f"key long, list long, vector {array}")
+    placed = f"key long, vec_id long, list long, vector {array}"
+    listed = entries.mapInArrow(place_kernel(shared, dim, CLOSE, REPLICAS), placed)
+    asked = rows.where(F.col("vec_id") % every == 0).select("key").distinct().join(entries, "key").select("key", "vec_id", "vector")
+    looked = asked.mapInArrow(place_kernel(shared, dim, prune, most, LEAST_LISTS), placed)
     listed = stage(listed, "lists")
     sizes = listed.groupBy("list").agg(F.ceil(F.count(F.lit(1)) / PIECE).cast("long").alias("pieces"))
-    cut = listed.join(sizes, "list").select(F.xxhash64("list", F.pmod(F.xxhash64("key"), "pieces")).alias("piece"), F.lit(False).alias("is_query"), "key", "vector")
+    cut = listed.join(sizes, "list").select(F.xxhash64("list", F.pmod(F.xxhash64("key"), "pieces")).alias("piece"), F.lit(False).alias("is_query"), "key", "vec_id", "vector")
     # a query goes to every piece of its lists
     every_piece = F.explode(F.sequence(F.lit(0).cast("long"), F.col("pieces") - 1))
-    spread = looked.join(sizes, "list").withColumn("p", every_piece).select(F.xxhash64("list", "p").alias("piece"), F.lit(True).alias("is_query"), "key", "vector")
+    spread = looked.join(sizes, "list").withColumn("p", every_piece).select(F.xxhash64("list", "p").alias("piece"), F.lit(True).alias("is_query"), "key", "vec_id", "vector")
     met = cut.unionByName(spread).repartition("piece").sortWithinPartitions("piece", "is_query")
-    found = met.mapInArrow(compare_kernel(dim, k), "query long, key long, score double").groupBy("query", "key").agg(F.max("score").alias("score"))
+    found = met.mapInArrow(compare_kernel(dim, k), FOUND).groupBy("query", "key").agg(F.max("score").alias("score"), F.min("vec_id").alias("least"))
     queries = rows.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query_id"), F.col("key").alias("query")).distinct()
 
     def ranked(found: DataFrame) -> DataFrame:
-        # the best k + 1 entries of each query, then their rows
-        best = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "key"))
-        top = found.withColumn("nth", best).where(F.col("nth") <= 2 * k + 2).drop("nth")
+        # the best k + 1 entries of each query, then their rows: each has a row ahead of all rows left out, and
+        # one of these rows at most is the query's own
+        best = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "least"))
+        top = found.withColumn("nth", best).where(F.col("nth") <= k + 1).select("query", "key", "score")
         candidates = top.join(smallest, "key").select("query", "vec_id", "score")
         pairs = queries.join(candidates, "query").where("query_id <> vec_id")
         rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
@@ -306,8 +333,9 @@ def nearest(vectors: DataFrame, every: int = 50, k: int = 5, list_vectors: int =
     passes: list[DataFrame] = []
     while block := list(islice(left, PASS_QUERIES)):
         asked_now = spark.sparkContext.broadcast((np.array([r["key"] for r in block]), np.array([r["vector"] for r in block])))
-        passes.append(stage(entries.select("key", "vector").mapInArrow(exact_kernel(asked_now, dim, 2 * k + 2), "query long, key long, score double"), "exact"))
-    if not passes:
-        return first
-    again = ranked(reduce(DataFrame.unionByName, passes)).join(short.select("query_id"), "query_id", "left_semi")
-    return first.join(short.select("query_id"), "query_id", "left_anti").unionByName(again)
+        passes.append(stage(entries.mapInArrow(exact_kernel(asked_now, dim, k), FOUND).withColumnRenamed("vec_id", "least"), "exact"))
+    if passes:
+        again = ranked(reduce(DataFrame.unionByName, passes)).join(short.select("query_id"), "query_id", "left_semi")
+        first = stage(first.join(short.select("query_id"), "query_id", "left_anti").unionByName(again), "all-nearest")
+    release(mark, first)
+    return first
