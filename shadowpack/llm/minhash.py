@@ -1,7 +1,8 @@
 """MinHash near-dedup with b-bit signatures.
 
-1. Every text becomes a set of shingle hashes; texts of equal sets form a class, whose smallest doc_id
-   stands for it. A class is one row from here on, however many copies it has.
+1. Every text becomes a set of shingle hashes; texts of equal sets, told by a 128-bit digest of the full
+   set, form a class, whose smallest doc_id stands for it. A class is one row from here on, however many
+   copies it has.
 2. Each class gets MINIMA minima. Minima of a band make its bucket key; the low BITS bits of all
    minima are packed into the signature.
 3. First round: in each bucket every class is paired with the bucket's smallest, never with all.
@@ -16,6 +17,7 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -25,7 +27,7 @@ import pyarrow.compute  # noqa: F401  (pa.compute)
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship_package, stage, unique_ids
+from .common import release, ship_package, stage, stage_mark, unique_ids, unstage
 from .components import connected_components
 from .kernels import WORD_BASE, chunks, column_bytes, lower_table, mix, prefix_sums, range_hash, ranges, split_words, word_hashes
 from .substring_dedup import with_doc_ids
@@ -136,8 +138,8 @@ def signature_kernel(width: int):
             data, offsets = column_bytes(batch.column(1))
             for a, b in chunks(offsets):
                 hashes, bounds = shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)
-                sums = prefix_sums(hashes, WORD_BASE)
-                key = range_hash(sums, bounds[:-1], bounds[1:], WORD_BASE)
+                sets, at = hashes.tobytes(), (8 * bounds).tolist()
+                keys = [hashlib.blake2b(sets[s:e], digest_size=16).digest() for s, e in zip(at[:-1], at[1:], strict=True)]
                 size = np.diff(bounds)
                 low = minima(hashes, bounds, MINIMA)
                 bands = band_keys(low)
@@ -148,7 +150,7 @@ def signature_kernel(width: int):
                     [
                         uid.slice(a, b - a),
                         pa.array(size),
-                        pa.array(key.view(np.int64)),
+                        pa.array(keys, pa.binary()),
                         pa.array([raw[i * step : (i + 1) * step] for i in range(b - a)], pa.binary()),
                         pa.ListArray.from_arrays(pa.array(np.arange(b - a + 1, dtype=np.int32) * BANDS), pa.array(bands.view(np.int64).ravel())),
                     ],
@@ -284,8 +286,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
     ship_package(docs.sparkSession)
     ids = unique_ids(docs.select("doc_id", "text"))
     threshold = numerator / denominator
+    mark = stage_mark()
     texts = ids.select("_uid", "text")
-    rows = stage(texts.mapInArrow(signature_kernel(width), "_uid long, n_shingles long, set_key long, signature binary, bands array<long>"), "signatures")
+    rows = stage(texts.mapInArrow(signature_kernel(width), "_uid long, n_shingles long, set_key binary, signature binary, bands array<long>"), "signatures")
     classes = stage(rows.where("n_shingles > 0").groupBy("set_key", "n_shingles").agg(F.min("_uid").alias("id")), "classes")
     lead = stage(rows.join(classes.select(F.col("id").alias("_uid")), "_uid", "left_semi").select(F.col("_uid").alias("id"), "n_shingles", "signature", "bands"), "class-signatures")
     buckets = lead.select("id", F.explode("bands").alias("bucket"))
@@ -314,6 +317,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, numerator: int = 80, denomi
             k += 1
         else:
             k = PARTNER_ROUNDS  # no partner is left to be found one by one
+    release(mark, rows, classes, parts)
     of_class = classes.join(parts, classes["id"] == parts["node"], "left").select("set_key", "n_shingles", F.coalesce("component", "id").alias("component_id"))
     whole = rows.select("_uid", "n_shingles", "set_key").join(of_class, ["set_key", "n_shingles"], "left")
     out = whole.select("_uid", "n_shingles", F.coalesce("component_id", "_uid").alias("component_id"))
@@ -356,4 +360,6 @@ def confirmed(pairs: DataFrame, texts: DataFrame, width: int, numerator: int, de
     needed = pairs.select(F.col("a").alias("_uid")).union(pairs.select(F.col("b").alias("_uid"))).distinct()
     own = stage(texts.join(needed, "_uid", "left_semi"), f"{name}-texts")
     both = pairs.join(own.select(F.col("_uid").alias("a"), F.col("text").alias("text_a")), "a").join(own.select(F.col("_uid").alias("b"), F.col("text").alias("text_b")), "b")
-    return pairs, stage(both.select("a", "b", "text_a", "text_b").mapInArrow(confirm_kernel(width, numerator, denominator), "a long, b long"), name)
+    links = stage(both.select("a", "b", "text_a", "text_b").mapInArrow(confirm_kernel(width, numerator, denominator), "a long, b long"), name)
+    unstage(own)
+    return pairs, links
