@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from shadowpack.llm.common import stage, unique_ids
+from shadowpack.llm.common import release, stage, stage_mark, unique_ids
 from shadowpack.llm.decontaminate import decontaminate
 from shadowpack.llm.minhash import near_duplicates
 from shadowpack.llm.packing import pack
@@ -79,8 +79,10 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents")
+    mark = stage_mark()
     for name, step in STAGES[:-1]:
         docs = stage(step(spark, docs, sf_dir), f"pipeline-{name}")
+        release(mark, docs)  # what the step and the one before it have written
     return STAGES[-1][1](spark, docs, sf_dir)
 
 
