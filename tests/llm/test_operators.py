@@ -15,6 +15,7 @@ from shadowpack.llm import license_scan, minhash, packing, repeats
 from shadowpack.llm.ann import nearest
 from shadowpack.llm.decontaminate import decontaminate
 from shadowpack.llm.html_extract import INSIDE, extract_text, page_lines, shared_lines
+from shadowpack.llm.kernels import split_words, word_hashes
 from shadowpack.llm.license_scan import scan_documents, scan_licenses
 from shadowpack.llm.minhash import near_duplicates
 from shadowpack.llm.packing import cutting_stock, pack
@@ -26,6 +27,7 @@ from shadowpack.llm.suffix_dedup import suffix_dedup
 
 SPACES = re.compile(r"[^\x20\x09-\x0D]+")
 ALNUM = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+ALNUM_BYTES = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 DOCS = "doc_id long, text string, lang string, n_words long, size long, shard int, score double"
 
 
@@ -195,6 +197,80 @@ def test_license_texts_headers_and_statements_in_lines(spark):
         assert (r["license"], r["from_directory"], r["origin"]) == want, path
 
 
+def plain_scan(files, templates):
+    """Per file its (class, cosine, license) candidates and the bytes they cover, by TF-IDF cosines of plain Python:
+    single lines against all templates, and every window of a template's length. Words share a weight by bucket."""
+    texts = {i: lower(t).encode() for i, _, t in files}
+    found = {i: [(m.start(), m.end(), m.group()) for m in ALNUM_BYTES.finditer(t)] for i, t in texts.items()}
+    known = sorted({w for many in found.values() for _, _, w in many} | {w for t in templates.values() for w in ALNUM_BYTES.findall(lower(t).encode())})
+    data = np.frombuffer(b" ".join(known), np.uint8)
+    starts, ends, _ = split_words(data, np.array([0, data.size]), "alnum")
+    bucket = dict(zip(known, (word_hashes(data, starts, ends) % np.uint64(license_scan.BUCKETS)).tolist(), strict=True))
+    lines = {i: [(m.start(), m.end()) for m in re.finditer(rb"[^\r\n]*(?:[\r\n]|$)", t) if ALNUM_BYTES.search(m.group())] for i, t in texts.items()}
+    df, n_lines = collections.Counter(bucket[w] for many in found.values() for _, _, w in many), sum(map(len, lines.values()))
+    idf = {w: math.log(1 + (n_lines + 1) / (df[b] + 1)) for w, b in bucket.items()}
+
+    def vector(words):
+        v = {w: k * idf[w] for w, k in collections.Counter(words).items()}
+        norm = math.sqrt(sum(x * x for x in v.values()))
+        return {w: x / norm for w, x in v.items()}
+
+    def cosine(words, unit):
+        return sum(x * unit.get(w, 0.0) for w, x in vector(words).items())
+
+    units = {name: (vector(ws), len(ws)) for name, t in templates.items() for ws in [ALNUM_BYTES.findall(lower(t).encode())]}
+    out = {}
+    for i, many in found.items():
+        hits, covered, present = [], set(), {w for _, _, w in many}
+        may = {name: u for name, u in units.items() if math.sqrt(sum(x * x for w, x in u[0].items() if w in present)) >= license_scan.LEAST_COSINE - 1e-9}
+        for lo, hi in lines[i]:
+            words = [w for a, _, w in many if lo <= a < hi] if may else []
+            scores = {name: cosine(words, u[0]) for name, u in may.items()}
+            best = max(scores.values(), default=0.0)
+            if best >= license_scan.LEAST_COSINE:
+                hits += [(2 if name == "Proprietary" else 1, c, name) for name, c in scores.items() if c >= best - 1e-9]
+                covered |= set(range(lo, hi))
+        for name, (unit, length) in may.items():
+            long = length > license_scan.EXACT_WORDS
+            size = min(length, len(many)) if long else length
+            windows = [(cosine([w for _, _, w in many[k : k + size]], unit), k) for k in range(len(many) - size + 1)]
+            windows = [x for x in windows if x[0] >= (license_scan.PASSAGE_COSINE if long else 1 - 1e-6)]
+            for c, k in [max(windows, key=lambda x: (x[0], -x[1]))] if long and windows else windows:
+                hits.append((0 if long else 2 if name == "Proprietary" else 1, c, name))
+                covered |= set(range(many[k][0], many[k + size - 1][1]))
+        out[i] = hits, len(covered), len(texts[i])
+    return out
+
+
+def test_license_scan_against_plain_cosines(spark, small):
+    """The given documents and changed statements (words left out, added, wrapped, said twice), own and inherited."""
+    rows = [(r["doc_id"], f"{r['source']}/{r['lang']}/{r['doc_id']}", r["text"]) for r in spark.read.parquet(f"{small}/documents.parquet").collect()]
+    for k, (name, text) in enumerate(license_scan.TEMPLATES.items()):
+        w, at = text.split(), 10**6 + 100 * k
+        changed = [text, " ".join(w[1:]), " ".join(w[:-1]), " ".join(w[: len(w) // 2]), " ".join(w[: len(w) // 2]) + "\n# " + " ".join(w[len(w) // 2 :]), f"{text} see the notes of all others", f"code here\n{text} {text}\r\nmore", f"x {text.upper()}" + "\nplain words of no weight" * 9]
+        rows += [(at + j, f"t{k}/d{j}/f", x) for j, x in enumerate(changed)] + [(at + 50 + j, f"t{k}/d{j}/sub/g", f"nothing {j}") for j in range(len(changed))]
+    want = plain_scan(rows, license_scan.TEMPLATES)
+    got = by_id(scan_licenses(spark.createDataFrame(rows, "doc_id long, path string, text string"), license_scan.TEMPLATES))
+    giving = {}
+    for i, path, _ in rows:
+        hits, covered, size = want[i]
+        r = got[i]
+        assert (r["origin"] == "own") == bool(hits), (i, hits)
+        if hits:
+            rank = min(h[0] for h in hits)
+            best = max(c for q, c, _ in hits if q == rank)
+            assert r["cosine"] == pytest.approx(min(best, 1.0), abs=2e-6)
+            assert r["license"] in {name for q, c, name in hits if q == rank and c >= best - 2e-6}
+            if covered >= license_scan.FILE_SHARE * size:
+                giving.setdefault(path.rpartition("/")[0], []).append((-r["cosine"], i, r["license"]))
+    assert {r["origin"] for r in got.values()} == {"own", "inherited", "none"}
+    for i, path, _ in rows:
+        if not want[i][0]:
+            above = ["/".join(path.split("/")[:n]) for n in range(path.count("/"), -1, -1)]
+            near = next((d for d in above if d in giving), None)
+            assert (got[i]["license"], got[i]["from_directory"]) == (min(giving[near])[2] if near is not None else None, near)
+
+
 PAGE = """<!doctype html><html><head><title>t</title><style>p{}</style><script>var a="<p>no</p>";</script></head><body class="page">
 <nav><a href=x>Home</a></nav><div id="cookie-notice">We use cookies</div><div class="sidebar">Side</div><main><article><h1>A &amp; B</h1><p>One   two<br>three<p>Caf&eacute; <b>bold</b> text
 <div class="share-buttons">Share</div><ul><li>x<li>y</ul><section class="comments"><p>First!</p></section></article></main><form><label>Mail</label></form><footer>&copy; me</footer>"""
