@@ -14,6 +14,9 @@ from ..plans.problem import KnapsackProblem
 PROFIT_STEPS, NEED_STEPS, MODULUS = (7919, 104729, 31), (6101, 15485863, 17), 10007
 # End of fixed values.
 
+#: Groups x items x knapsacks worth a task: below that, starting tasks takes longer than the groups in them.
+CELLS = 250_000
+
 
 def lattice_items(spark: SparkSession, n: int, m: int, k: int, sparse: bool, offset: int = 0) -> DataFrame:
     """n groups x m items by modular arithmetic. Profits 1..MODULUS; dense needs: k per item, from one of two
@@ -61,7 +64,9 @@ def lattice_problem(spark: SparkSession, n: int, m: int, k: int, sparse: bool, s
     from ..operators.measures import evaluate
 
     items = uniform_items(spark, n, m, k, sparse, offset) if uniform else lattice_items(spark, n, m, k, sparse, offset)
-    problem = KnapsackProblem.from_long(items, [1.0] * k, standard_hierarchy(m, scenario)).pack()
+    parts = -(-n * m * k // CELLS)
+    problem = KnapsackProblem.from_long(items, [1.0] * k, standard_hierarchy(m, scenario))
+    problem = problem.pack(partitions=parts if parts < spark.sparkContext.defaultParallelism else None)
     free = evaluate(problem, [0.0] * k)
     return problem.with_budgets([max(share * u, 1e-9) for u in free.used])
 
