@@ -378,3 +378,19 @@ def test_violated_caps_are_counted(spark):
         got.setdefault(g, []).append((i, u))
     want = sum((sum(u for i, u in x if i in (0, 1)) > 1) + (sum(u for _, u in x) > 2) for x in got.values())
     assert measures.local_violations(p, taken) == want > 0
+
+
+def test_polished_prices_keep_more_after_the_repair(spark):
+    p = lattice_problem(spark, 400, 10, 8, False, "C1")
+    assert len(p.packed.inputFiles()) == 1
+    plain = solvers.solve(p, max_iter=6)
+    start = measures.evaluate(p, plain.prices)
+    better = solvers.polished(p, plain.prices, 4)
+    end = measures.evaluate(p, better)
+    assert end.primal / (1 + end.max_violation) >= start.primal / (1 + start.max_violation)
+    s = solvers.finish(p, solvers.Solution(better, True, 0))
+    used = measures.used_by_knapsack(s.decisions, p.items, p.budgets).collect()
+    assert all(r["used"] <= r["budget"] * (1 + 1e-9) for r in used)
+    assert s.metrics["primal"] <= lp_bound(p, 1e-3, 10, [better])[0] * (1 + 1e-9)
+    # without any violation or price there is nothing to move
+    assert solvers.polished(p.with_budgets([1e12] * 8), [0.0] * 8, 1) == [0.0] * 8
