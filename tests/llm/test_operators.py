@@ -634,3 +634,18 @@ def test_components(spark, monkeypatch, small):
         parent[y] = x
     got = {r["node"]: r["component"] for r in connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {x: find(x) for e in edges if e[0] != e[1] for x in e}
+
+
+def test_spans_are_read_in_a_fresh_worker(tmp_path):
+    import subprocess
+    import sys
+
+    import pyarrow as pa
+
+    # read from a stream, as a worker does: pa.array of Python values would load pyarrow.compute by itself
+    batch = pa.RecordBatch.from_pylist([{"spans": None}, {"spans": [{"first": 3, "n": 2}]}])
+    with pa.OSFile(str(tmp_path / "batch"), "wb") as out, pa.ipc.new_stream(out, batch.schema) as writer:
+        writer.write_batch(batch)
+    code = "import sys, pyarrow as pa; from shadowpack.llm.repeats import span_arrays; print([x.tolist() for x in span_arrays(pa.ipc.open_stream(pa.OSFile(sys.argv[1])).read_next_batch().column(0), 0, 2)])"
+    said = subprocess.run([sys.executable, "-c", code, str(tmp_path / "batch")], cwd=Path(__file__).parents[2], capture_output=True, text=True)
+    assert said.stdout.strip() == "[[1], [3], [2]]", said.stderr
