@@ -34,6 +34,13 @@ def test_oracle(spark, duck, small, name):
         assert [float(x) if isinstance(x, (int, float)) else x for x in a] == [float(x) if hasattr(x, "as_tuple") or isinstance(x, (int, float)) else x for x in b]
 
 
+def test_lattice_items_are_those_of_the_orders(spark, small, duck):
+    df = QUERIES["lattice_items"](spark, small)
+    assert [f.rsplit("/", 1)[1] for f in df.inputFiles()] == ["orders.parquet"]
+    keys = {g for (g,) in duck.execute("SELECT o_orderkey FROM orders").fetchall()}
+    assert {r["group_id"] for r in df.collect()} == keys and df.count() == 5 * len(keys)
+
+
 def test_entry(spark):
     assert entry_point.entry(spark).count() > 0
     assert set(entry_point.oracle_sql()) <= set(entry_point.queries())
