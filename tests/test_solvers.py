@@ -3,6 +3,7 @@
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -394,3 +395,61 @@ def test_polished_prices_keep_more_after_the_repair(spark):
     assert s.metrics["primal"] <= lp_bound(p, 1e-3, 10, [better])[0] * (1 + 1e-9)
     # without any violation or price there is nothing to move
     assert solvers.polished(p.with_budgets([1e12] * 8), [0.0] * 8, 1) == [0.0] * 8
+
+
+def test_single_units_by_pairs_take_what_the_greedy_does(monkeypatch):
+    from shadowpack.plans import kernels
+
+    rng = np.random.default_rng(7)
+    for m in (1, 2, 5, 9):
+        net = rng.integers(-3, 6, (300, m)).astype(float)
+        units = rng.integers(0, 2, (300, m))
+        least = rng.integers(0, 2, (300, m)) * 0.5
+        fine, coarse = rng.integers(-1, 3, (300, m)), rng.integers(-1, 2, (300, m))
+        fine[coarse < 0] = -1
+        whole = (np.zeros((300, m), dtype=np.int64), np.array([3]))
+        for levels in ([(fine * 2 + coarse * (fine >= 0), np.full(6, 1)), (coarse, np.array([2, 1])), whole], [whole], [(whole[0], np.array([1]))], [(coarse, np.array([1, 2]))]):
+            got = kernels.greedy(net, units, levels, least)
+            with monkeypatch.context() as patch:
+                patch.setattr(kernels, "MOST_PAIRED", 0)
+                # one level over all items has a way of its own; a second copy of it changes nothing
+                want = kernels.greedy(net, units, [*levels, levels[-1]], least)
+            assert got.tolist() == want.tolist()
+
+
+def test_a_window_lists_critical_prices_of_groups_that_change_in_it_only(spark, monkeypatch):
+    from shadowpack.plans import kernels
+
+    p = lattice_problem(spark, 1000, 10, 5, False, "hier")
+    batch = pa.Table.from_batches(p.packed.toArrow().to_batches()).combine_chunks().to_batches()[0]
+    (block,) = kernels.blocks(batch, 5)
+    levels = kernels.Caps(p.hierarchy, p.levels).nodes(block)
+    prices, seen = np.array([40.0, 30.0, 20.0, 10.0, 5.0]), []
+    look = kernels.candidates
+    monkeypatch.setattr(kernels, "candidates", lambda a, b: seen.append(a.shape[0]) or look(a, b))
+    v1, v2 = kernels.emissions(block, prices, 0, levels)
+    for low, high in ((38.0, 42.0), (0.0, 5.0), (60.0, np.inf), (float(np.nextafter(v1[0], 0)), float(v1[0]))):
+        seen.clear()
+        w1, w2 = kernels.emissions(block, prices, 0, levels, window=(low, high))
+        inside = (v1 > low) & (v1 <= high)
+        mine = (w1 > low) & (w1 <= high)
+        assert sorted(zip(w1[mine], w2[mine])) == sorted(zip(v1[inside], v2[inside]))
+        assert w2[w1 > high].sum() == v2[v1 > high].sum()
+        assert seen[0] < 1000
+
+
+def test_the_ratio_query_packs_once(spark, small, monkeypatch):
+    from shadowpack.plans import problem
+
+    packs = []
+    pack = problem.KnapsackProblem.pack
+    monkeypatch.setattr(problem.KnapsackProblem, "pack", lambda self, *a, **k: packs.append(self.k) or pack(self, *a, **k))
+    monkeypatch.setattr(workloads.solvers, "solve", lambda p, **k: solvers.Solution([1.0] * p.k, True, 1, metrics={"primal": sum(p.budgets), "n_violated_before_repair": len(p.levels)}))
+    monkeypatch.setattr(workloads, "lp_bound", lambda p, *a: (1.0, 1.0))
+    got = {(r["k"], r["scenario"]): (r["primal"], r["violated_before_repair"]) for r in workloads.optimality_order_lines(spark, small, (1, 3)).collect()}
+    assert packs == [3]
+    monkeypatch.undo()
+    for k in (1, 3):
+        for c in ("C1", "C2", "hier"):
+            p = instances.orders_problem(spark, small, k, c)
+            assert got[k, c] == (sum(p.budgets), len(p.levels))
