@@ -115,6 +115,19 @@ def test_dedup_on_tables(spark, small, name):
         assert {k: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for k, r in got.items()} == {k: v[:4] for k, v in repeated_bytes(texts, 400).items()}
 
 
+def test_planted_passages_at_400_bytes(spark):
+    """Both passages have 57 words. With the spaces around them, which the documents share too, one has 400
+    bytes and is removed, the other has 399 and stays; n_bytes is the size of the input either way."""
+    long, short = (" ".join(f"w{seed}y{i:03}" for i in range(57))[:size] for seed, size in ((1, 398), (2, 397)))
+    assert len(long.split()) == len(short.split()) == 57
+    rows = [(i, f"a{i} {long} {i}b") for i in range(5)] + [(10 + i, f"c{i} {short} {i}d") for i in range(5)]
+    rows += [(20 + i, f"{passage(20 + i, 300)} {i}") for i in range(5)]
+    got = by_id(suffix_dedup(frame(spark, rows)))
+    for k, text in rows:
+        gone, kept = (400, f"a{k}{k}b") if k < 5 else (0, text)
+        assert (got[k]["n_bytes"], got[k]["n_removed"], got[k]["n_spans"], bytes(got[k]["kept_bytes"])) == (len(text), gone, int(gone > 0), kept.encode()), k
+
+
 def test_repeated_and_null_ids(spark):
     rows = [(1, passage(1)), (1, passage(1)), (None, passage(2)), (None, "z"), (2, passage(2))]
     got = sorted((str(r["doc_id"]), r["n_words"], r["n_removed"]) for r in substring_dedup(frame(spark, rows)).collect())
