@@ -453,3 +453,59 @@ def test_the_ratio_query_packs_once(spark, small, monkeypatch):
         for c in ("C1", "C2", "hier"):
             p = instances.orders_problem(spark, small, k, c)
             assert got[k, c] == (sum(p.budgets), len(p.levels))
+
+
+def test_stored_blocks_hold_the_same_groups_and_give_the_same_iterations(spark, small):
+    from shadowpack.operators.passes import next_prices
+
+    for scenario in ("C1", "hier"):
+        p = instances.orders_problem(spark, small, 3, scenario)
+        q = p.pack(as_blocks=True)
+        assert "width" in q.packed.columns and q.packed.count() < p.packed.count() / 10
+        for prices in ([0.0, 0.0, 0.0], [30000.0, 150000.0, 90000.0]):
+            a, b = measures.evaluate(p, prices), measures.evaluate(q, prices)
+            assert (a.used, a.primal, a.taken) == (b.used, b.primal, b.taken)
+            rows = [sorted(tuple(r) for r in subproblem.greedy_take(x, prices).collect()) for x in (p, q)]
+            assert rows[0] == rows[1]
+        assert next_prices(p, [1.0] * 3, [1, 2, 3], False)[0] == next_prices(q, [1.0] * 3, [1, 2, 3], False)[0]
+
+
+def test_margins_say_which_groups_a_window_can_not_change():
+    from shadowpack.plans import kernels
+
+    rng = np.random.default_rng(3)
+    n, m = 4000, 5
+    fine, coarse = rng.integers(0, 3, (n, m)), rng.integers(0, 2, (n, m))
+    profit, needs = np.asfortranarray(rng.integers(0, 60, (n, m)).astype(float)), rng.integers(0, 9, (n, m, 2)).astype(float)
+    ones = np.ones((n, m), dtype=np.int64)
+    block = kernels.Block(np.arange(n), np.tile(np.arange(m), (n, 1)), profit, needs, ones, ones.astype(bool), [], full=True, single=True)
+    root = kernels.Level((np.broadcast_to(np.int8(0), (n, m)), np.array([3])))
+    for levels in ([root], [kernels.Level((fine * 2 + coarse, np.full(6, 1))), kernels.Level((coarse, np.full(2, 2))), root]):
+        prices, window = np.array([2.0, 3.0]), (1.8, 2.2)
+        net = block.net(prices)
+        settled = kernels.Settled(block, prices, levels, net, kernels.greedy(net, None, levels), needs)
+        sure = settled.margin > 0.2001 * needs[:, :, 0].max(axis=1)
+        assert 100 < sure.sum() < n
+        for x in np.linspace(*window, 9):
+            take = kernels.greedy(block.net(np.array([x, 3.0])), None, levels)
+            assert (take[sure] == settled.take[sure]).all()
+        want, got = kernels.emissions(block, prices, 0, levels, window=window), settled.emissions(0, window)
+        assert sorted(zip(*want)) == sorted(zip(*got))
+
+
+def test_the_cut_is_the_repair_without_writing_groups(spark, small, monkeypatch):
+    from shadowpack.operators import cuts, feasibility
+
+    p = instances.orders_problem(spark, small, 3, "hier").pack(as_blocks=True)
+    prices = [20000.0, 90000.0, 60000.0]
+    e = measures.evaluate(p, prices, tolerant=True)
+    groups = subproblem.group_results(p, prices, tolerant=True)
+    for few in (20_000, 3):
+        monkeypatch.setattr(cuts, "FEW_GROUPS", few)
+        for shares, only in (((0.9, 0.8, 2.0), False), ((2.0, 2.0, 0.7), True), ((1e-9, 2.0, 2.0), False), ((2.0, 2.0, 2.0), False)):
+            budgets = [u * s for u, s in zip(e.used, shares, strict=True)]
+            got = cuts.find_cut(p.with_budgets(budgets), prices, e.used, only)
+            want = feasibility.repair(groups, e.used, budgets, only)
+            if want.rule is not None:
+                assert (got.rule.value, got.rule.group, got.rule.touching) == (want.rule.value, want.rule.group, want.rule.touching)
+                assert got.dropped == want.dropped and got.kept == (want.keep.agg({"profit": "sum"}).first()[0] or 0.0)
